@@ -23,7 +23,6 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import pyarrow.fs
-import regex
 import zstandard as zstd
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
@@ -143,10 +142,12 @@ class ShardReader:
             at += n
 
 
-#: Characters whose classes are the same in every Unicode version; other texts go to the tokenizer whole.
-_PLAIN = re.compile(r"[\t\n\r\x20-\x7e¡-ɏ‐-‧]*\Z")
-#: Fixed: the pattern by which this byte-level family of tokenizers splits a text before merging.
-_SPLIT = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
+#: Characters whose classes no Unicode version changes (white space, ASCII, Latin letters, common punctuation, no
+#: fractions or raised digits); other texts go to the tokenizer whole.
+_PLAIN = re.compile(r"[\t\n\r\x20-\x7e¡-±´-¸º»¿-ɏ‐-‧]*\Z")
+#: Fixed: the splitting rule of this byte-level family before merging, with the classes written out for those characters.
+_LETTERS = "A-Za-zªµºÀ-ÖØ-öø-ɏ"
+_SPLIT = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d| ?[{_LETTERS}]+| ?[0-9]+| ?[^\s0-9{_LETTERS}]+|\s+(?!\S)|\s+")
 
 
 class ByteTokenizer:
@@ -168,11 +169,11 @@ class ByteTokenizer:
         plain = [w for w in words if w[0] == " " and w[1:].isalpha()]
         if plain:
             found = self.model.encode("".join(plain), add_special_tokens=False)
-            ids, at = np.array(found.ids, "<u4"), np.array(found.word_ids)
+            data, at = np.array(found.ids, "<u4").tobytes(), np.array(found.word_ids)
             ends = np.searchsorted(at, np.arange(len(plain)), "right").tolist()
             start = 0
             for w, end in zip(plain, ends, strict=True):
-                self.memo[w] = ids[start:end].tobytes()
+                self.memo[w] = data[4 * start : 4 * end]
                 start = end
         rest = [w for w in words if w not in self.memo]
         self.memo.update(zip(rest, self._whole(rest), strict=True))
@@ -181,16 +182,16 @@ class ByteTokenizer:
         if not _PLAIN.match(text) or any(a in text for a in self.added):
             return np.frombuffer(self._whole([text])[0], "<u4")
         words = _SPLIT.findall(text)
-        memo = self.memo
-        try:
-            return np.frombuffer(b"".join([memo[w] for w in words]), "<u4")
-        except KeyError:
-            missing = list({w for w in words if w not in memo})
-        if len(memo) + len(missing) > MEMO_WORDS:
-            memo.clear()
-            missing = list(set(words))
-        self._learn(missing)
-        return np.frombuffer(b"".join([memo[w] for w in words]), "<u4")
+        parts = list(map(self.memo.get, words))
+        if None in parts:
+            places = [i for i, p in enumerate(parts) if p is None]
+            missing = list({words[i] for i in places})
+            if len(self.memo) + len(missing) > MEMO_WORDS:
+                self.memo.clear()
+            self._learn(missing)
+            for i in places:
+                parts[i] = self.memo[words[i]]
+        return np.frombuffer(b"".join(parts), "<u4")
 
 
 _TOKENIZERS: dict[str, ByteTokenizer] = {}
