@@ -57,10 +57,10 @@ def push(start: str, out: str, eps: str = "0.001", alpha: float = 0.8, sigma: fl
     parts = [base]
     for i in range(rounds):
         after = out if i == rounds - 1 else f"{out}{i + 1}"
-        parts.append(f"""{out}_t{i} as materialized (select *, n_hot > 0 and n_hot / n_some > {sigma} and spent + vol < budget as sweep from (
-  select *, sum(hot) over (partition by seed_id) as n_hot, sum(some) over (partition by seed_id) as n_some, sum(some * deg) over (partition by seed_id) as vol
-  from (select *, case when residual > 0 and residual >= eps * deg then 1.0::double else 0 end as hot, case when residual > 0 then 1.0::double else 0 end as some from {out}{i}))),
-{out}_a{i} as materialized (select *, hot = 1 or (sweep and some = 1) as active, spent + case when sweep then vol else 0 end as paid from {out}_t{i}),
+        parts.append(f"""{out}_t{i} as materialized (select *, n_hot > 0 and n_hot / n_warm > {sigma} and spent + vol < budget as sweep from (
+  select *, sum(hot) over (partition by seed_id) as n_hot, sum(warm) over (partition by seed_id) as n_warm, sum(warm * deg) over (partition by seed_id) as vol
+  from (select *, case when residual > 0 and residual >= eps * deg then 1.0::double else 0 end as hot, case when residual > 0 then 1.0::double else 0 end as warm from {out}{i}))),
+{out}_a{i} as materialized (select *, hot = 1 or (sweep and warm = 1) as active, spent + case when sweep then vol else 0 end as paid from {out}_t{i}),
 {after} as materialized (select seed_id, node_id, max(deg) as deg, sum(residual) as residual, sum(reserve) as reserve, max(eps) as eps, max(budget) as budget, max(spent) as spent from (
   select seed_id, node_id, deg, case when active then 0 else residual end as residual, reserve + case when active then {1 - alpha} * residual else 0 end as reserve, eps, budget, paid as spent from {out}_a{i}
   union all select a.seed_id, e.dst, e.dst_deg, {alpha} * a.residual * e.w / e.src_deg, 0, a.eps, a.budget, a.paid from {out}_a{i} a join {edges} e on e.src = a.node_id where a.active) group by 1, 2)""")
