@@ -5,9 +5,9 @@ minhashes). A table key is one sub-key of the first collection combined with one
 ``m + m`` sub-keys stand for ``m * m`` tables. A sub-key that only one set has can't be in a shared
 table, so those go before any table key is formed.
 
-Within a bucket, members are compared with one pivot, and only members that are still in different
-components are compared further, in rounds that end when no unchecked pair across components is
-left in any bucket. Each link is confirmed on the full shingle sets. A pair at similarity 0.75 shares no
+Within a bucket, members are compared with one pivot. Members outside the bucket's largest component are then
+compared with a few of that component, and what is still apart with all that the distance to the pivot allows, until no
+pair across components is left unchecked in any bucket. Each link is confirmed on the full shingle sets. A pair at similarity 0.75 shares no
 table with probability 2 * (1 - 0.75^2)^10 = 0.05 %.
 """
 
@@ -27,6 +27,9 @@ SHINGLE_WORDS = 5
 THRESHOLD_PERCENT = 75
 SUBKEYS = 10
 ROWS = 2
+#: Members of a bucket's largest component that the others are compared with in each of the first rounds.
+HELPERS = 4
+HELPER_ROUNDS = 3
 #: Of the 40 minhashes; a pair at similarity 0.75 has fewer equal ones once in 20,000.
 FILTER_MATCHES = 19
 _MEMO_LIMIT = 400_000
@@ -138,16 +141,12 @@ def components(edges: DataFrame) -> DataFrame:
     return current.select(F.col("u").alias("id"), F.col("v").alias("component_id")).union(current.select(F.col("v"), F.col("v")).distinct())
 
 
-def _verified(pairs: DataFrame, docs: DataFrame, percent: int) -> DataFrame:
-    """Those of (a, b) whose full shingle sets are similar enough."""
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    sets = docs.select("doc_id", "text").join(ids, "doc_id", "left_semi").mapInArrow(_sets, "id long, shingles array<long>")
-    sets = materialise(sets, "sets")
+def _similarities(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """(a, b, common, union) of the full shingle sets of (a, b)."""
     joined = pairs.join(sets.select(F.col("id").alias("b"), F.col("shingles").alias("sb")), "b")
     joined = joined.join(sets.select(F.col("id").alias("a"), F.col("shingles").alias("sa")), "a")
-    common = F.size(F.array_intersect("sa", "sb"))
-    union = F.size("sa") + F.size("sb") - common
-    return joined.where(100 * common >= percent * union).select("a", "b").distinct()
+    sized = joined.select("a", "b", F.size(F.array_intersect("sa", "sb")).alias("common"), (F.size("sa") + F.size("sb")).alias("both"))
+    return sized.select("a", "b", "common", (F.col("both") - F.col("common")).alias("union"))
 
 
 def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFrame:
@@ -173,9 +172,23 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
     )
     table_keys = F.transform("left", lambda x: F.transform("right", lambda y: F.xxhash64(x, y)))
     rows = materialise(colliding.where("size(left) > 0 and size(right) > 0").select(F.col("class_id").alias("id"), F.explode(F.array_distinct(F.flatten(table_keys))).alias("key")), "tables")
-    pivots = rows.groupBy("key").agg(F.min("id").alias("a"), F.max("id").alias("z")).where("a != z").select("key", "a")
+    # the pivot is the member in most tables: it is near the middle of its group, so most members are near it
+    busy = rows.groupBy("id").agg(F.count("*").alias("n"))
+    pivots = rows.join(busy, "id").groupBy("key").agg(F.max(F.struct("n", (-F.col("id")).alias("m"))).alias("top"), F.count("*").alias("size"))
+    pivots = pivots.where("size > 1").select("key", (-F.col("top.m")).alias("pivot"))
     buckets = materialise(rows.join(pivots, "key"), "buckets")
-
+    wanted = buckets.select("id").distinct()
+    sets = docs.select("doc_id", "text").join(wanted.withColumnRenamed("id", "doc_id"), "doc_id", "left_semi")
+    sets = materialise(sets.mapInArrow(_sets, "id long, shingles array<long>"), "sets")
+
+    similar = 100 * F.col("common") >= percent * F.col("union")
+    star = buckets.where("id != pivot").select(F.col("pivot").alias("a"), F.col("id").alias("b")).distinct()
+    # a pair may be here in both directions; rows of one doc_id may have several sets: the likest counts
+    scored = materialise(_similarities(star, sets).groupBy("a", "b").agg(F.max(F.col("common") / F.col("union")).alias("j"), F.max(similar).alias("linked")), "star")
+    links = scored.where("linked").select("a", "b")
+    near = scored.select(F.col("a").alias("pivot"), F.col("b").alias("id"), "j")
+    members = materialise(buckets.join(near, ["pivot", "id"], "left").select("key", "id", F.coalesce("j", F.lit(1.0)).alias("j")), "members")
+    checked = star.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     info = classes.select(F.col("class_id").alias("id"), "n_shingles", "low")
 
     def plausible(pairs: DataFrame) -> DataFrame:
@@ -185,32 +198,49 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
         agree = F.size(F.filter(F.zip_with("ka", "kb", lambda x, y: x == y), lambda z: z))
         return both.where((100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (agree >= FILTER_MATCHES)).select("a", "b")
 
-    candidates = materialise(plausible(buckets.where("id != a").select("a", F.col("id").alias("b")).distinct()), "pairs")
-    checked, links = candidates, materialise(_verified(candidates, docs, percent), "links")
-    labels, done, share = components(links), False, 1 << 20
-    limit = None
-    while not done:
-        seen = buckets.select("key", "id").join(labels, "id", "left").withColumn("component_id", F.coalesce("component_id", "id"))
+    labels, turn, limit, share = components(links), 0, 0, 1 << 20
+    while True:
+        seen = members.join(labels, "id", "left").withColumn("component_id", F.coalesce("component_id", "id"))
         mixed = seen.groupBy("key").agg(F.min("component_id").alias("lo"), F.max("component_id").alias("hi")).where("lo != hi").select("key")
         seen = materialise(seen.join(mixed, "key"), "mixed")
         sizes = seen.groupBy("key", "component_id").agg(F.count("*").alias("n")).groupBy("key").agg(F.sum("n").alias("size"), F.max("n").alias("top"), F.max_by("component_id", F.struct("n", "component_id")).alias("largest"))
-        rest = materialise(sizes.select("key", "size", "largest", (F.col("size") - F.col("top")).alias("rest")), "rest")
+        rest = materialise(sizes.select("key", "size", "top", "largest", (F.col("size") - F.col("top")).alias("rest")), "rest")
         work = rest.agg(F.max("rest").alias("widest"), F.sum(F.col("rest") * F.col("size")).alias("all"), F.sum("size").alias("rows")).first()
         if not work.widest:
             break
-        # pairs across components have an end outside the bucket's largest one: those ends are compared with all
-        # members, so many of a bucket's at a time that the work stays in proportion to the buckets' rows
-        limit = work.widest if work.all <= 64 * work.rows else max(64, (limit or 8) * 8)
-        done = limit >= work.widest
-        some = F.pmod(F.xxhash64("key", "id"), F.lit(share)) * F.col("rest") < F.lit(limit * share).cast("long")
-        chosen = seen.join(rest, "key").where((F.col("component_id") != F.col("largest")) & some).select("key", F.col("id").alias("p"), F.col("component_id").alias("cp"))
-        found = seen.join(chosen, "key").where("component_id != cp").select(F.least("p", "id").alias("a"), F.greatest("p", "id").alias("b")).distinct()
+        told = seen.join(rest, "key")
+        inside = F.col("component_id") == F.col("largest")
+        draw = lambda of: F.pmod(F.xxhash64(F.col("id"), F.col("key"), F.lit(turn)), F.lit(share)) * F.col(of)  # noqa: B023, E731
+        last = False
+        if turn < HELPER_ROUNDS and work.all > 16 * work.rows:
+            # a member outside the largest component needs one link to it: a few drawn helpers find most
+            helpers = told.where(inside & (draw("top") < F.lit(HELPERS * share).cast("long"))).select("key", F.col("id").alias("p"))
+            found = told.where(~inside).select("key", "id").join(helpers, "key")
+        else:
+            # pairs across components have an end outside the largest one: those ends are compared with every member
+            # whose similarity to the pivot isn't too far from theirs (1 - similarity is a metric), so many of a bucket's
+            # ends at a time that the work stays in proportion to the buckets' rows
+            limit = work.widest if work.all <= 64 * work.rows else max(64, limit * 8)
+            last = limit >= work.widest
+            slack = 1 - percent / 100
+            band = F.floor(F.col("j") / slack).cast("int")
+            ends = told.where(~inside & (draw("rest") < F.lit(limit * share).cast("long"))).select("key", F.col("id").alias("p"), F.col("component_id").alias("cp"), F.col("j").alias("jp"), F.explode(F.array(band - 1, band, band + 1)).alias("band"))
+            found = seen.withColumn("band", band).join(ends, ["key", "band"]).where((F.col("component_id") != F.col("cp")) & (F.abs(F.col("j") - F.col("jp")) <= slack + 1e-9))
+        found = found.select(F.least("p", "id").alias("a"), F.greatest("p", "id").alias("b")).distinct()
         fresh = materialise(plausible(found.join(checked, ["a", "b"], "left_anti")), "pairs")
         checked = checked.union(fresh)
-        more = materialise(_verified(fresh, docs, percent), "links")
+        more = materialise(_similarities(fresh, sets).where(similar).select("a", "b").distinct(), "links")
         if not more.isEmpty():
             links = links.union(more)
             labels = components(links)
+        for done in (seen, rest):
+            discard(done)
+        if last:
+            break
+        turn += 1
+    labels = materialise(labels, "labels")
+    for done in (rows, buckets, sets, scored, members):
+        discard(done)
     labels = labels.select(F.col("id").alias("class_id"), "component_id")
     out = sketch.join(classes.select(*signature, "class_id").join(labels, "class_id", "left"), signature, "left")
     component = F.when(F.col("n_shingles") > 0, F.coalesce("component_id", "class_id")).otherwise(F.col("doc_id"))
