@@ -27,6 +27,8 @@ SHINGLE_WORDS = 5
 THRESHOLD_PERCENT = 75
 SUBKEYS = 10
 ROWS = 2
+#: Size of the bitmap that bounds what two sets can share.
+BITS = 1024
 #: Members of a bucket's largest component that the others are compared with in each of the first rounds.
 HELPERS = 4
 HELPER_ROUNDS = 3
@@ -92,10 +94,17 @@ def subkeys(values: np.ndarray, per_side: int = SUBKEYS, rows: int = ROWS) -> np
     return out.view(np.int64)
 
 
+def bitmap(shingles: np.ndarray) -> np.ndarray:
+    """BITS bits as signed words; an element sets the bit that its highest bits name."""
+    bits = np.zeros(BITS, np.uint8)
+    bits[(shingles >> np.uint64(64 - (BITS - 1).bit_length())).astype(np.int64)] = 1
+    return np.packbits(bits).view(np.int64)
+
+
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     memo = WordHashes()
     for batch in batches:
-        sizes, first, second, keys, low = [], [], [], [], []
+        sizes, first, second, keys, low, bits = [], [], [], [], [], []
         for text in batch.column(1).cast(pa.binary()):
             s = shingle_set(text.as_py(), memo)
             sizes.append(len(s))
@@ -103,10 +112,11 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             second.append(int(np.bitwise_xor.reduce(mix(s + _STEP)).astype(np.int64)) if len(s) else 0)
             values = minhashes(s, 2 * SUBKEYS * ROWS)
             keys.append(subkeys(values) if len(s) else None)
+            bits.append(bitmap(s) if len(s) else None)
             low.append((values & np.uint64(0x7FFF)).astype(np.int16) if len(s) else None)
         yield pa.RecordBatch.from_arrays(
-            [batch.column(0), pa.array(sizes, pa.int64()), pa.array(first, pa.int64()), pa.array(second, pa.int64()), pa.array(keys, pa.list_(pa.int64())), pa.array(low, pa.list_(pa.int16()))],
-            ["doc_id", "n_shingles", "sum_hash", "xor_hash", "keys", "low"],
+            [batch.column(0), pa.array(sizes, pa.int64()), pa.array(first, pa.int64()), pa.array(second, pa.int64()), pa.array(keys, pa.list_(pa.int64())), pa.array(low, pa.list_(pa.int16())), pa.array(bits, pa.list_(pa.int64()))],
+            ["doc_id", "n_shingles", "sum_hash", "xor_hash", "keys", "low", "bits"],
         )
 
 
@@ -159,10 +169,10 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
     """
     spark = workers(docs.sparkSession)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    sketch = materialise(docs.mapInArrow(_sketch, "doc_id long, n_shingles long, sum_hash long, xor_hash long, keys array<long>, low array<short>"), "sketch")
+    sketch = materialise(docs.mapInArrow(_sketch, "doc_id long, n_shingles long, sum_hash long, xor_hash long, keys array<long>, low array<short>, bits array<long>"), "sketch")
     signature = ["n_shingles", "sum_hash", "xor_hash"]
     real = sketch.where("n_shingles > 0 and doc_id is not null")
-    classes = materialise(real.groupBy(*signature).agg(F.min("doc_id").alias("class_id"), F.min_by(F.struct("keys", "low"), "doc_id").alias("s")).select(*signature, "class_id", "s.keys", "s.low"), "classes")
+    classes = materialise(real.groupBy(*signature).agg(F.min("doc_id").alias("class_id"), F.min_by(F.struct("keys", "low", "bits"), "doc_id").alias("s")).select(*signature, "class_id", "s.*"), "classes")
 
     each = classes.select("class_id", F.posexplode("keys").alias("slot", "key"))
     shared = each.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
@@ -189,20 +199,29 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
     near = scored.select(F.col("a").alias("pivot"), F.col("b").alias("id"), "j")
     members = materialise(buckets.join(near, ["pivot", "id"], "left").select("key", "id", F.coalesce("j", F.lit(1.0)).alias("j")), "members")
     checked = star.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    info = classes.select(F.col("class_id").alias("id"), "n_shingles", "low")
+    words = BITS // 64
+    info = classes.select(F.col("class_id").alias("id"), F.col("n_shingles").alias("n"), "low", *[F.col("bits")[i].alias(f"b{i}") for i in range(words)])
+    facts = ["n", "low", *[f"b{i}" for i in range(words)]]
+
+    def told_of(prefix: str) -> list:
+        return [F.col(c).alias(prefix + c) for c in facts]
+
+    def possible():
+        """Whether a row's set and that of its p_ columns can be similar enough.
 
-    def plausible(pairs: DataFrame) -> DataFrame:
-        """Drop pairs that sizes or sketches rule out (few true links fail the latter: see FILTER_MATCHES)."""
-        one, two = (info.select(F.col("id").alias(x), F.col("n_shingles").alias(f"n{x}"), F.col("low").alias(f"k{x}")) for x in "ab")
-        both = pairs.join(one, "a").join(two, "b")
-        agree = F.size(F.filter(F.zip_with("ka", "kb", lambda x, y: x == y), lambda z: z))
-        return both.where((100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (agree >= FILTER_MATCHES)).select("a", "b")
+        A bit that one bitmap has and the other lacks stands for an element the other set lacks, which bounds what they share
+        (exact); the sketches must agree, too (few true links fail that: see FILTER_MATCHES).
+        """
+        lacks = lambda x, y: sum((F.bit_count(F.col(f"{x}b{i}").bitwiseAND(F.bitwise_not(F.col(f"{y}b{i}")))) for i in range(words)), F.lit(0))
+        most = F.least(F.col("n") - lacks("", "p_"), F.col("p_n") - lacks("p_", ""))
+        agree = F.size(F.filter(F.zip_with("low", "p_low", lambda x, y: x == y), lambda z: z))
+        return (100 * most >= percent * (F.col("n") + F.col("p_n") - most)) & (agree >= FILTER_MATCHES)
 
     labels, turn, limit, share = components(links), 0, 0, 1 << 20
     while True:
         seen = members.join(labels, "id", "left").withColumn("component_id", F.coalesce("component_id", "id"))
         mixed = seen.groupBy("key").agg(F.min("component_id").alias("lo"), F.max("component_id").alias("hi")).where("lo != hi").select("key")
-        seen = materialise(seen.join(mixed, "key"), "mixed")
+        seen = materialise(seen.join(mixed, "key").join(info, "id"), "mixed")
         sizes = seen.groupBy("key", "component_id").agg(F.count("*").alias("n")).groupBy("key").agg(F.sum("n").alias("size"), F.max("n").alias("top"), F.max_by("component_id", F.struct("n", "component_id")).alias("largest"))
         rest = materialise(sizes.select("key", "size", "top", "largest", (F.col("size") - F.col("top")).alias("rest")), "rest")
         work = rest.agg(F.max("rest").alias("widest"), F.sum(F.col("rest") * F.col("size")).alias("all"), F.sum("size").alias("rows")).first()
@@ -210,12 +229,13 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
             break
         told = seen.join(rest, "key")
         inside = F.col("component_id") == F.col("largest")
-        draw = lambda of: F.pmod(F.xxhash64(F.col("id"), F.col("key"), F.lit(turn)), F.lit(share)) * F.col(of)  # noqa: B023, E731
+        draw = lambda of: F.pmod(F.xxhash64(F.col("id"), F.lit(turn)), F.lit(share)) * F.col(of)  # noqa: B023, E731
         last = False
         if turn < HELPER_ROUNDS and work.all > 16 * work.rows:
-            # a member outside the largest component needs one link to it: a few drawn helpers find most
-            helpers = told.where(inside & (draw("top") < F.lit(HELPERS * share).cast("long"))).select("key", F.col("id").alias("p"))
-            found = told.where(~inside).select("key", "id").join(helpers, "key")
+            # a member outside the largest component needs one link to it: a few drawn helpers find most; the draw
+            # doesn't depend on the bucket, so a group's buckets draw the same ones
+            helpers = told.where(inside & (draw("top") < F.lit(HELPERS * share).cast("long"))).select("key", F.col("id").alias("p"), *told_of("p_"))
+            found = told.where(~inside).join(helpers, "key").where(possible())
         else:
             # pairs across components have an end outside the largest one: those ends are compared with every member
             # whose similarity to the pivot isn't too far from theirs (1 - similarity is a metric), so many of a bucket's
@@ -224,10 +244,10 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
             last = limit >= work.widest
             slack = 1 - percent / 100
             band = F.floor(F.col("j") / slack).cast("int")
-            ends = told.where(~inside & (draw("rest") < F.lit(limit * share).cast("long"))).select("key", F.col("id").alias("p"), F.col("component_id").alias("cp"), F.col("j").alias("jp"), F.explode(F.array(band - 1, band, band + 1)).alias("band"))
-            found = seen.withColumn("band", band).join(ends, ["key", "band"]).where((F.col("component_id") != F.col("cp")) & (F.abs(F.col("j") - F.col("jp")) <= slack + 1e-9))
+            ends = told.where(~inside & (draw("rest") < F.lit(limit * share).cast("long"))).select("key", F.col("id").alias("p"), F.col("component_id").alias("cp"), F.col("j").alias("jp"), *told_of("p_"), F.explode(F.array(band - 1, band, band + 1)).alias("band"))
+            found = seen.withColumn("band", band).join(ends, ["key", "band"]).where((F.col("component_id") != F.col("cp")) & (F.abs(F.col("j") - F.col("jp")) <= slack + 1e-9) & possible())
         found = found.select(F.least("p", "id").alias("a"), F.greatest("p", "id").alias("b")).distinct()
-        fresh = materialise(plausible(found.join(checked, ["a", "b"], "left_anti")), "pairs")
+        fresh = materialise(found.join(checked, ["a", "b"], "left_anti"), "pairs")
         checked = checked.union(fresh)
         more = materialise(_similarities(fresh, sets).where(similar).select("a", "b").distinct(), "links")
         if not more.isEmpty():
