@@ -30,8 +30,10 @@ ROWS = 2
 #: Size of the bitmap that bounds what two sets can share.
 BITS = 1024
 #: Members of a bucket's largest component that the others are compared with in each of the first rounds.
-HELPERS = 4
-HELPER_ROUNDS = 3
+HELPERS = 8
+HELPER_ROUNDS = 1
+#: Comparisons for each row of a bucket that one of the later rounds may take.
+ROUND_WORK = 2048
 #: Of the 40 minhashes; a pair at similarity 0.75 has fewer equal ones once in 20,000.
 FILTER_MATCHES = 19
 _MEMO_LIMIT = 400_000
@@ -219,9 +221,10 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
 
     labels, turn, limit, share = components(links), 0, 0, 1 << 20
     while True:
-        seen = members.join(labels, "id", "left").withColumn("component_id", F.coalesce("component_id", "id"))
-        mixed = seen.groupBy("key").agg(F.min("component_id").alias("lo"), F.max("component_id").alias("hi")).where("lo != hi").select("key")
-        seen = materialise(seen.join(mixed, "key").join(info, "id"), "mixed")
+        placed = materialise(members.join(labels, "id", "left").withColumn("component_id", F.coalesce("component_id", "id")), "placed")
+        mixed = placed.groupBy("key").agg(F.min("component_id").alias("lo"), F.max("component_id").alias("hi")).where("lo != hi").select("key")
+        seen = materialise(placed.join(mixed, "key").join(info, "id"), "mixed")
+        discard(placed)
         sizes = seen.groupBy("key", "component_id").agg(F.count("*").alias("n")).groupBy("key").agg(F.sum("n").alias("size"), F.max("n").alias("top"), F.max_by("component_id", F.struct("n", "component_id")).alias("largest"))
         rest = materialise(sizes.select("key", "size", "top", "largest", (F.col("size") - F.col("top")).alias("rest")), "rest")
         work = rest.agg(F.max("rest").alias("widest"), F.sum(F.col("rest") * F.col("size")).alias("all"), F.sum("size").alias("rows")).first()
@@ -240,7 +243,7 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
             # pairs across components have an end outside the largest one: those ends are compared with every member
             # whose similarity to the pivot isn't too far from theirs (1 - similarity is a metric), so many of a bucket's
             # ends at a time that the work stays in proportion to the buckets' rows
-            limit = work.widest if work.all <= 64 * work.rows else max(64, limit * 8)
+            limit = work.widest if work.all <= ROUND_WORK * work.rows else max(ROUND_WORK, limit * 8)
             last = limit >= work.widest
             slack = 1 - percent / 100
             band = F.floor(F.col("j") / slack).cast("int")
@@ -253,6 +256,8 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
         if not more.isEmpty():
             links = links.union(more)
             labels = components(links)
+        # a bucket within one component stays so
+        members = materialise(seen.select("key", "id", "j"), "members")
         for done in (seen, rest):
             discard(done)
         if last:
