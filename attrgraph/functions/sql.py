@@ -50,6 +50,7 @@ def register_graph(spark: SparkSession, g: Graph) -> None:
     class DiffuseLocal:
         def eval(self, seed: int, alpha: float, eps: float) -> Iterator[tuple[int, float, float]]:
             near, deg = shared.value
+            alpha, eps = float(alpha), float(eps)
             r, kept = ({seed: 1.0} if seed in deg else {}), {}
             while hot := [n for n, x in r.items() if x > 0 and x >= eps * deg[n]]:
                 moved = [(n, r.pop(n)) for n in hot]
