@@ -378,3 +378,5 @@ def test_builders_count_what_is_known(spark):
     assert builders.copurchase(line, 2).count() == 3445
     assert builders.customer_supplier(table(spark, "/root/testdata/sf0.01", "orders"), line).count() == 4877
     assert builders.document_overlap(table(spark, "/root/testdata/sf0.01", "documents")).count() == 3011
+    big = graph.largest_component(graph.from_edges(builders.bigram_overlap(table(spark, "/root/testdata/sf0.01", "documents"))))
+    assert (big.degrees.count(), big.edges.count() // 2) == (803, 2114)
