@@ -91,6 +91,23 @@ def nation_tree(nation: DataFrame, customer: DataFrame) -> DataFrame:
     return up.union(down)
 
 
+def supplier_tree(nation: DataFrame, supplier: DataFrame) -> DataFrame:
+    """A small tree: region (ids from -1000), nation (from -100), supplier."""
+    down = supplier.select((F.col("s_nationkey").cast("long") - 100).alias("a"), F.col("s_suppkey").alias("b"))
+    return nation.select((F.col("n_nationkey").cast("long") - 100).alias("a"), (F.col("n_regionkey").cast("long") - 1000).alias("b")).union(down)
+
+
+def supplier_tree_attributes(nation: DataFrame, supplier: DataFrame) -> DataFrame:
+    """Its nodes' region, nation and balance decile, as far as they have one."""
+    n = nation.select("n_nationkey", "n_regionkey")
+    s = supplier.join(n, F.col("s_nationkey") == F.col("n_nationkey"))
+    decile = F.floor((F.col("s_acctbal") + 1000) / 1100).cast("string")
+    place = lambda node: [node.alias("node_id"), F.col("n_nationkey").alias("nation"), F.col("n_regionkey").alias("region")]
+    rows = s.select(*place(F.col("s_suppkey")), decile.alias("balance")).union(n.select(*place(F.col("n_nationkey").cast("long") - 100), F.lit(None).cast("string")))
+    rows = rows.union(n.select((F.col("n_regionkey").cast("long") - 1000).alias("node_id"), F.lit(None).cast("int"), F.col("n_regionkey"), F.lit(None).cast("string")).distinct())
+    return _one_hot(rows, "node_id", *[F.concat(F.lit(f"{k}:"), F.col(k).cast("string")) for k in ("nation", "region", "balance")])
+
+
 def long_path(part: DataFrame, length: int = 120) -> DataFrame:
     """The ``length`` smallest part keys as a path."""
     first = part.select("p_partkey").orderBy("p_partkey").limit(length)

@@ -22,6 +22,13 @@ TURNS = """select a, b from (select conv_id * 1000 + turn as a, lead(conv_id * 1
 NATIONS = """select cast(n_nationkey as bigint) - 100 as a, cast(n_regionkey as bigint) - 1000 as b from nation
   union all select cast(c_nationkey as bigint) - 100, c_custkey from customer"""
 
+TREE = """select cast(n_nationkey as bigint) - 100 as a, cast(n_regionkey as bigint) - 1000 as b from nation
+  union all select cast(s_nationkey as bigint) - 100, s_suppkey from supplier"""
+_TREE_NODES = """select s_suppkey as node_id, n_nationkey as nation, n_regionkey as region, cast(cast(floor((s_acctbal + 1000) / 1100) as bigint) as varchar) as balance from supplier join nation on n_nationkey = s_nationkey
+  union all select cast(n_nationkey as bigint) - 100, n_nationkey, n_regionkey, null from nation
+  union all select distinct cast(n_regionkey as bigint) - 1000, null, n_regionkey, null from nation"""
+TREE_ATTRS = f"""select distinct node_id, attr, 1.0::double as value from (select node_id, unnest(['nation:' || cast(nation as varchar), 'region:' || cast(region as varchar), 'balance:' || balance]) as attr from ({_TREE_NODES})) where attr is not null"""
+
 PART_ATTRS = """select distinct p_partkey as node_id, attr, 1.0::double as value from (select p_partkey, unnest([
   'size:' || cast((p_size - 1) // 5 as varchar), 'first:' || string_split(p_name, ' ')[1], 'last:' || string_split(p_name, ' ')[-1], 'brand:' || p_brand]) as attr from part)"""
 CUSTOMER_ATTRS = """select distinct c_custkey as node_id, attr, 1.0::double as value from (select c_custkey, unnest([
