@@ -28,7 +28,7 @@ SIDE = 2
 HIDDEN = 32
 SAMPLE_DOCS = 600
 SAMPLE_CHARS = 20_000
-_MEMO_LIMIT = 400_000
+_MEMO_LIMIT = 150_000
 _OFFSETS = [o for o in range(-SIDE, SIDE + 1) if o]
 
 

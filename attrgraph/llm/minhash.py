@@ -36,7 +36,7 @@ HELPER_ROUNDS = 1
 ROUND_WORK = 2048
 #: Of the 40 minhashes; a pair at similarity 0.75 has fewer equal ones once in 20,000.
 FILTER_MATCHES = 19
-_MEMO_LIMIT = 400_000
+_MEMO_LIMIT = 150_000
 _M1, _M2, _STEP = np.uint64(0xFF51AFD7ED558CCD), np.uint64(0xC4CEB9FE1A85EC53), np.uint64(0x9E3779B97F4A7C15)
 
 

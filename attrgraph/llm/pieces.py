@@ -29,8 +29,8 @@ from pyspark.sql import functions as F
 from attrgraph.session import workers
 
 SPACE = "▁"
-MEMO_UNITS = 600_000
-MEMO_PAIRS = 1_000_000
+MEMO_UNITS = 250_000
+MEMO_PAIRS = 150_000
 _UNITS = re.compile(r" +[^ \n]*|\n[^ \n]*")
 
 
@@ -56,8 +56,12 @@ class PieceCodec:
         self.automaton.make_automaton()
         kept = set(usable)
         self.shorter = {p: next((p[:k] for k in range(len(p) - 1, 0, -1) if p[:k] in kept), None) for p in usable}
+        # each memo has a young and an old generation of at most that size
         self.pairs: dict[tuple[str, str], bool] = {}
-        self.units: dict[str, tuple[str, str]] = {}
+        self.old_pairs: dict[tuple[str, str], bool] = {}
+        self.units: dict[str, str] = {}
+        self.old_units: dict[str, str] = {}
+        self.odd: dict[str, str] = {}
 
     def merge(self, text: str) -> list[str]:
         """Pieces of ``text`` by merging the best-scored adjacent pair, leftmost first, until none is left."""
@@ -89,9 +93,12 @@ class PieceCodec:
         key = (one, two)
         known = self.pairs.get(key)
         if known is None:
+            known = self.old_pairs.get(key)
+            if known is None:
+                known = self.merge(one + two) == [one, two]
             if len(self.pairs) >= MEMO_PAIRS:
-                self.pairs.clear()
-            known = self.pairs[key] = self.merge(one + two) == [one, two]
+                self.pairs, self.old_pairs = {}, self.pairs
+            self.pairs[key] = known
         return known
 
     def split(self, text: str) -> list[str]:
@@ -130,22 +137,36 @@ class PieceCodec:
                 out.append(self.unknown)
         return out
 
-    def _unit(self, unit: str) -> tuple[str, str]:
+    def _unit(self, unit: str) -> str:
+        """A unit's ids as text; what they decode to is checked here and kept apart where it isn't the unit itself."""
+        value = self.units.get(unit) or self.old_units.get(unit)
+        if value is None:
+            ids = self.unit_ids(unit)
+            value = ",".join(map(str, ids))
+            if (back := self.surface(ids)) != unit:
+                if len(self.odd) >= MEMO_UNITS:
+                    self.odd, self.units, self.old_units = {}, {}, {}
+                self.odd[unit] = back
         if len(self.units) >= MEMO_UNITS:
-            self.units.clear()
-        ids = self.unit_ids(unit)
-        value = self.units[unit] = (",".join(map(str, ids)), self.surface(ids))
+            self.units, self.old_units = {}, self.units
+        self.units[unit] = value
         return value
 
-    def encode_units(self, text: str) -> list[tuple[str, str]]:
-        """(ids as text, what they decode to) of the units of a text."""
+    def encode_units(self, text: str) -> tuple[list[str], list[str]]:
+        """The units of a text (with the dummy prefix), and the ids of each as text."""
         if not text:
-            return []
+            return [], []
+        units = _UNITS.findall(" " + text.replace(SPACE, " "))
         known, unit = self.units.get, self._unit
-        return [known(u) or unit(u) for u in _UNITS.findall(" " + text.replace(SPACE, " "))]
+        return units, [known(u) or unit(u) for u in units]
+
+    def decode_units(self, units: list[str]) -> str:
+        """What the ids of a text's units decode to: the dummy prefix is the first unit's first space."""
+        odd = self.odd
+        return "".join([odd.get(u, u) for u in units] if odd else units)[1:]
 
     def encode(self, text: str) -> list[int]:
-        return [int(i) for ids, _ in self.encode_units(text) for i in ids.split(",")]
+        return [int(i) for ids in self.encode_units(text)[1] for i in ids.split(",")]
 
     def surface(self, ids: list[int]) -> str:
         """What ids stand for, with white space that the encoder put in front still there."""
@@ -186,9 +207,8 @@ def _round_trip(batches: Iterator[pa.RecordBatch], path: str, with_ids: bool) ->
     for batch in batches:
         counts, digests, decoded, lists, texts = [], [], [], [], []
         for text in batch.column(1):
-            units = model.encode_units(text.as_py() or "")
-            ids = ",".join([u[0] for u in units])
-            back = "".join([u[1] for u in units])[1:]  # the dummy prefix is the first unit's first space
+            units, parts = model.encode_units(text.as_py() or "")
+            ids, back = ",".join(parts), model.decode_units(units)
             counts.append(ids.count(",") + 1 if ids else 0)
             digests.append(hashlib.sha256(ids.encode()).hexdigest())
             decoded.append(hashlib.sha256(back.encode()).hexdigest())

@@ -22,7 +22,7 @@ from attrgraph.session import workers
 BINS = 1 << 15
 SAMPLE_PER_CLASS = 2500
 _BYTE_BINS = BINS // 2
-_MEMO_LIMIT = 400_000
+_MEMO_LIMIT = 150_000
 _RUNS = re.compile(rb"(.)\1+", re.S)
 _KINDS = bytes.maketrans(bytes(range(256)), bytes(97 if 97 <= c <= 122 or c >= 128 else 65 if 65 <= c <= 90 else 48 if 48 <= c <= 57 else c for c in range(256)))
 
