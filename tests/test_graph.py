@@ -380,3 +380,18 @@ def test_builders_count_what_is_known(spark):
     assert builders.document_overlap(table(spark, "/root/testdata/sf0.01", "documents")).count() == 3011
     big = graph.largest_component(graph.from_edges(builders.bigram_overlap(table(spark, "/root/testdata/sf0.01", "documents"))))
     assert (big.degrees.count(), big.edges.count() // 2) == (803, 2114)
+
+
+def test_diffusion_in_balls(spark, small):
+    from attrgraph.operators.ball import diffuse_in_balls
+
+    g, *_ = small
+    start = diffusion.start_unit(seeds_of(spark, 0, 7, 999))
+    for strategy, sigma in (("threshold", 0.1), ("hybrid", 0.1)):
+        one = {(r.seed_id, r.node_id): (r.reserve, r.residual) for r in diffusion.diffuse(g, start, eps=1e-2, strategy=strategy, sigma=sigma).collect()}
+        two = {(r.seed_id, r.node_id): (r.reserve, r.residual) for r in diffuse_in_balls(g, start, eps=1e-2, strategy=strategy, sigma=sigma, hops=8).collect()}
+        assert {k for k, v in one.items() if max(v) > 0} == two.keys() and all(two[k] == pytest.approx(one[k], abs=1e-12) for k in two)
+    with pytest.raises(Exception, match="too small"):
+        diffuse_in_balls(g, start, eps=1e-4, hops=1).collect()
+    with pytest.raises(ValueError, match="more than 5"):
+        diffuse_in_balls(g, start, eps=1e-2, hops=8, most_edges=5)
