@@ -75,10 +75,10 @@ def fit(features: list[np.ndarray], labels: np.ndarray, cost: float = 1.0, epoch
     values = []
     for f in features:
         v = ratio[f]
-        values.append(v / max(1e-12, np.sqrt(v @ v + 1)))
+        values.append((v / max(1e-12, np.sqrt(v @ v + 1))).astype(np.float32))
     weights, bias = np.zeros(BINS), 0.0
     dual = np.zeros(len(y))
-    norm = np.array([v @ v + 1 for v in values])
+    norm = np.array([float(v @ v) + 1 for v in values])
     weight_of = len(y) / (2 * np.where(y > 0, (y > 0).sum(), (y < 0).sum()))  # balances the classes
     order = np.random.default_rng(7)
     for _ in range(epochs):
@@ -156,7 +156,7 @@ def learn(docs: DataFrame, labels: DataFrame, per_class: int = SAMPLE_PER_CLASS,
     features, y = [], []
     for q in (0, 1):
         mine = [r for r in unique if r[1] == q][: 2 * per_class]
-        features += [np.flatnonzero(np.unpackbits(np.frombuffer(r[2], np.uint8))) for r in mine]
+        features += [np.flatnonzero(np.unpackbits(np.frombuffer(r[2], np.uint8))).astype(np.int32) for r in mine]
         y += [q] * len(mine)
     return fit(features, np.array(y))
 
