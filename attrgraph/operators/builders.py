@@ -58,9 +58,13 @@ def document_overlap(documents: DataFrame, longer_than: int = 20, most: int = 50
     return co_occurrence(lines.where(F.length("line") > longer_than), F.md5("line"), "doc_id", 1, most)
 
 
-def bigram_overlap(documents: DataFrame, words: int = 200, shared: int = 2, most: int = 6) -> DataFrame:
-    """Documents that share ``shared`` bigrams of their first ``words`` words (split at white space) that at most ``most`` documents have."""
-    w = F.slice(F.filter(F.split(F.lower("text"), r"\s+"), lambda x: x != ""), 1, words)
+def bigram_overlap(documents: DataFrame, words: int | None = 200, shared: int = 2, most: int | None = 6) -> DataFrame:
+    """Documents that share ``shared`` bigrams of their first ``words`` words (split at white space) that at most ``most`` documents have.
+
+    ``words`` None reads whole texts, ``most`` None counts bigrams of every frequency; the defaults define the small fixture graph.
+    """
+    w = F.filter(F.split(F.lower("text"), r"\s+"), lambda x: x != "")
+    w = w if words is None else F.slice(w, 1, words)
     grams = F.zip_with(F.slice(F.col("w"), 1, F.size("w") - 1), F.slice(F.col("w"), 2, F.size("w") - 1), lambda x, y: F.concat_ws(" ", x, y))
     rows = documents.where("text is not null").select("doc_id", w.alias("w")).where(F.size("w") > 1).select("doc_id", F.explode(F.array_distinct(grams)).alias("g"))
     return co_occurrence(rows, "g", "doc_id", shared, most)

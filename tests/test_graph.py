@@ -382,6 +382,16 @@ def test_builders_count_what_is_known(spark):
     assert (big.degrees.count(), big.edges.count() // 2) == (803, 2114)
 
 
+def test_bigram_query_reads_whole_texts_and_every_frequency(spark, tmp_path):
+    from attrgraph import catalog
+
+    late = [(i, " ".join(f"d{i}w{j}" for j in range(300)) + " one late passage") for i in (1, 2)]
+    copies = [(10 + i, "the same short text") for i in range(8)]
+    spark.createDataFrame([*late, *copies, (99, "alone here")], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {(r.a, r.b) for r in catalog.QUERIES["graph_edges_bigram_overlap"](spark, str(tmp_path)).collect()}
+    assert got == {(1, 2)} | {(10 + i, 10 + j) for i in range(8) for j in range(i + 1, 8)}
+
+
 def test_diffusion_in_balls(spark, small):
     from attrgraph.operators.ball import diffuse_in_balls
 
