@@ -52,10 +52,21 @@ def part_supplier(lineitem: DataFrame) -> DataFrame:
     return lineitem.select((F.col("l_partkey") * 2).alias("a"), (F.col("l_suppkey") * 2 + 1).alias("b")).distinct()
 
 
-def document_overlap(documents: DataFrame, longer_than: int = 20, most: int = 50) -> DataFrame:
-    """Documents that share a trimmed line of more than ``longer_than`` characters that at most ``most`` have."""
+def _shared_lines(documents: DataFrame, longer_than: int) -> DataFrame:
     lines = documents.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line"))
-    return co_occurrence(lines.where(F.length("line") > longer_than), F.md5("line"), "doc_id", 1, most)
+    return lines.where(F.length("line") > longer_than)
+
+
+def document_overlap(documents: DataFrame, longer_than: int = 20, most: int | None = 50) -> DataFrame:
+    """Documents that share a trimmed line of more than ``longer_than`` characters that at most ``most`` have; None for every line."""
+    return co_occurrence(_shared_lines(documents, longer_than), F.md5("line"), "doc_id", 1, most)
+
+
+def document_links(documents: DataFrame, longer_than: int = 20) -> DataFrame:
+    """Every shared line as a star: its smallest document and each other one. The components are those of
+    ``document_overlap`` with ``most`` None, by as many pairs as there are memberships."""
+    held = _shared_lines(documents, longer_than).where("doc_id is not null").select(F.md5("line").alias("k"), F.col("doc_id").alias("b")).distinct()
+    return held.join(held.groupBy("k").agg(F.min("b").alias("a")), "k").where("a < b").select("a", "b").distinct()
 
 
 def bigram_overlap(documents: DataFrame, words: int | None = 200, shared: int = 2, most: int | None = 6) -> DataFrame:

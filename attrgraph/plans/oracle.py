@@ -12,6 +12,7 @@ PART_SUPPLIER = "select distinct l_partkey * 2 as a, l_suppkey * 2 + 1 as b from
 _LINES = """select distinct doc_id, md5(trim(line)) as k from (select doc_id, unnest(string_split(text, chr(10))) as line from documents) where length(trim(line)) > 20"""
 OVERLAP = f"""select x.doc_id as a, y.doc_id as b from ({_LINES}) x join ({_LINES}) y on x.k = y.k and x.doc_id < y.doc_id
   where x.k in (select k from ({_LINES}) group by k having count(*) between 2 and 50) group by 1, 2"""
+OVERLAP_ALL = f"select x.doc_id as a, y.doc_id as b from ({_LINES}) x join ({_LINES}) y on x.k = y.k and x.doc_id < y.doc_id group by 1, 2"
 COACTIVITY = """select x.user_id as a, y.user_id as b from (select distinct date_trunc('minute', ts) as t, user_id from events) x
   join (select distinct date_trunc('minute', ts) as t, user_id from events) y on x.t = y.t and x.user_id < y.user_id group by 1, 2"""
 KNN = """select q, other, dot, rank from (select x.vec_id as q, y.vec_id as other, list_inner_product(x.embedding::double[], y.embedding::double[]) as dot,

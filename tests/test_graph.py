@@ -392,6 +392,18 @@ def test_bigram_query_reads_whole_texts_and_every_frequency(spark, tmp_path):
     assert got == {(1, 2)} | {(10 + i, 10 + j) for i in range(8) for j in range(i + 1, 8)}
 
 
+def test_large_groups_of_copies_stay_linked(spark, tmp_path):
+    from attrgraph import catalog
+
+    line = "a license line that many documents share"
+    rows = [(i, f"{line}\n own text of number {i} and nothing else") for i in range(60)] + [(100, "short\nanother line of two documents"), (101, "another line of two documents")]
+    spark.createDataFrame([*rows, (200, "on its own, with nothing shared")], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    edges = {(r.a, r.b) for r in catalog.QUERIES["graph_edges_document_overlap_all_lines"](spark, str(tmp_path)).collect()}
+    assert edges == {(i, j) for i in range(60) for j in range(i + 1, 60)} | {(100, 101)}
+    parts = {r.node_id: r.component_id for r in catalog.QUERIES["components_all_lines"](spark, str(tmp_path)).collect()}
+    assert parts == dict.fromkeys(range(60), 0) | {100: 100, 101: 100}
+
+
 def test_diffusion_in_balls(spark, small):
     from attrgraph.operators.ball import diffuse_in_balls
 
