@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import collections
 import hashlib
+import math
 import random
 import re
 import zlib
@@ -277,6 +279,43 @@ def test_class_shares_cover_all_documents(spark):
     assert np.isfinite(share[lm.FREQUENT * lm.BINS_PER_CLASS :]).all()
 
 
+def test_every_word_has_its_own_count(spark):
+    rng = random.Random(4)
+    vocabulary = [f"w{i}ab" for i in range(9000)]  # one suffix class: far more words than the former 2048 bins
+    texts = [" ".join(vocabulary + ["the"] * 50 + rng.choices(vocabulary[:40], k=400)) for _ in range(2)] + ["the end", None]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    frequent, net = lm.train(docs)
+    counts = collections.Counter(w for t in texts if t for w in t.encode().split())
+    assert frequent == [w for w, _ in sorted(counts.items(), key=lambda x: (-x[1], x[0]))[: lm.FREQUENT]]
+    bins = lm.WordBins(frequent)
+    totals = collections.Counter()
+    for w, n in counts.items():
+        totals[bins[w] // lm.BINS_PER_CLASS] += n
+    odd = ["x", "yz", "\u00e9\u00e8", "abcdefghijklmnopqrstuvwxyz0123456789" * 3]
+    made = lm.word_counts(spark.createDataFrame([(1, " ".join(odd))], "doc_id long, text string")).collect()
+    assert {bytes(r.word): r.id for r in made} == {w.encode(): lm.WordBins([])[w.encode()] for w in odd}
+    for most in (0, 500, 100_000):  # counts sent, joined, or both
+        got = {r.doc_id: r for r in lm.score_documents(docs, head_words=most).collect()}
+        for i, t in enumerate(texts):
+            x = bins.of((t or "").encode())
+            kinds = (x // lm.BINS_PER_CLASS).astype(int)
+            want = net.log_prob(lm.contexts(np.array([len(x)]), kinds), kinds).sum() if t else 0.0
+            want += sum(math.log(counts[w] / totals[bins[w] // lm.BINS_PER_CLASS]) for w in (t or "").encode().split())
+            assert got[i].log_prob == pytest.approx(want, rel=1e-5) and got[i].n_tokens == len(x)
+
+
+def test_network_learns_beyond_the_start(spark):
+    """Documents outside the start, and words after the first 20,000 characters, shape predictions."""
+    plain = "alpha beta gamma delta " * 20
+    late = "x" * 4 + " filler" * 4000 + " red green blue" * 2000
+    docs = spark.createDataFrame([(i, plain) for i in range(6)] + [(50, late)], "doc_id long, text string")
+    frequent, net = lm.train(docs, 1)
+    assert b"green" in frequent
+    x = lm.WordBins(frequent).of(b"red green blue red green blue red green blue")
+    kinds = (x // lm.BINS_PER_CLASS).astype(int)
+    assert net.log_prob(lm.contexts(np.array([len(x)]), kinds), kinds).mean() > -1.0
+
+
 # ---------------------------------------------------------------- op7
 
 
