@@ -404,6 +404,16 @@ def test_large_groups_of_copies_stay_linked(spark, tmp_path):
     assert parts == dict.fromkeys(range(60), 0) | {100: 100, 101: 100}
 
 
+def test_flow_query_settles(spark, small):
+    from attrgraph import catalog
+
+    degrees = catalog.copurchase(spark, DATA).degrees
+    left = catalog.QUERIES["pnorm_flow"](spark, DATA).join(degrees, "node_id").agg(F.max(F.col("excess") / F.col("deg"))).first()[0]
+    assert left <= 1e-3 + 1e-6
+    with pytest.raises(RuntimeError, match="not settled"):
+        flow.pnorm_flow(small[0], seeds_of(spark, 5), 2.0, mass_per_degree=10.0, rounds=2, settle=True)
+
+
 def test_diffusion_in_balls(spark, small):
     from attrgraph.operators.ball import diffuse_in_balls
 
