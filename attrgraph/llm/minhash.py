@@ -5,10 +5,11 @@ minhashes). A table key is one sub-key of the first collection combined with one
 ``m + m`` sub-keys stand for ``m * m`` tables. A sub-key that only one set has can't be in a shared
 table, so those go before any table key is formed.
 
-Within a bucket, members are compared with one pivot. Members outside the bucket's largest component are then
-compared with a few of that component, and what is still apart with all that the distance to the pivot allows, until no
-pair across components is left unchecked in any bucket. Each link is confirmed on the full shingle sets. A pair at similarity 0.75 shares no
-table with probability 2 * (1 - 0.75^2)^10 = 0.05 %.
+Within a bucket, members are compared with one pivot. Members outside the bucket's largest component are then the bucket's
+ends: a few rounds compare ends with a pivot of their own. What is still apart goes through an exact prefix filter: two sets of
+that similarity must share one of each other's rarest shingles, early enough for the rest to suffice. So each pair across
+components of a bucket is either ruled out exactly or confirmed on the full shingle sets. A pair at similarity 0.75
+shares no table with probability 2 * (1 - 0.75^2)^10 = 0.05 %.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from attrgraph.session import discard, materialise, workers
@@ -27,15 +28,10 @@ SHINGLE_WORDS = 5
 THRESHOLD_PERCENT = 75
 SUBKEYS = 10
 ROWS = 2
-#: Size of the bitmap that bounds what two sets can share.
-BITS = 1024
-#: Members of a bucket's largest component that the others are compared with in each of the first rounds.
-HELPERS = 8
-HELPER_ROUNDS = 1
-#: Comparisons for each row of a bucket that one of the later rounds may take.
-ROUND_WORK = 2048
-#: Of the 40 minhashes; a pair at similarity 0.75 has fewer equal ones once in 20,000.
-FILTER_MATCHES = 19
+#: Rounds of pivots among the ends; they save work and decide nothing, as the prefix filter leaves no pair out.
+END_ROUNDS = 4
+#: Rows that share a join key in one task: a pivot's pairs, a shingle's sets.
+BLOCK_ROWS = 256
 _MEMO_LIMIT = 150_000
 _M1, _M2, _STEP = np.uint64(0xFF51AFD7ED558CCD), np.uint64(0xC4CEB9FE1A85EC53), np.uint64(0x9E3779B97F4A7C15)
 
@@ -96,29 +92,19 @@ def subkeys(values: np.ndarray, per_side: int = SUBKEYS, rows: int = ROWS) -> np
     return out.view(np.int64)
 
 
-def bitmap(shingles: np.ndarray) -> np.ndarray:
-    """BITS bits as signed words; an element sets the bit that its highest bits name."""
-    bits = np.zeros(BITS, np.uint8)
-    bits[(shingles >> np.uint64(64 - (BITS - 1).bit_length())).astype(np.int64)] = 1
-    return np.packbits(bits).view(np.int64)
-
-
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     memo = WordHashes()
     for batch in batches:
-        sizes, first, second, keys, low, bits = [], [], [], [], [], []
+        sizes, first, second, keys = [], [], [], []
         for text in batch.column(1).cast(pa.binary()):
             s = shingle_set(text.as_py(), memo)
             sizes.append(len(s))
             first.append(int(s.sum(dtype=np.uint64).astype(np.int64)) if len(s) else 0)
             second.append(int(np.bitwise_xor.reduce(mix(s + _STEP)).astype(np.int64)) if len(s) else 0)
-            values = minhashes(s, 2 * SUBKEYS * ROWS)
-            keys.append(subkeys(values) if len(s) else None)
-            bits.append(bitmap(s) if len(s) else None)
-            low.append((values & np.uint64(0x7FFF)).astype(np.int16) if len(s) else None)
+            keys.append(subkeys(minhashes(s, 2 * SUBKEYS * ROWS)) if len(s) else None)
         yield pa.RecordBatch.from_arrays(
-            [batch.column(0), pa.array(sizes, pa.int64()), pa.array(first, pa.int64()), pa.array(second, pa.int64()), pa.array(keys, pa.list_(pa.int64())), pa.array(low, pa.list_(pa.int16())), pa.array(bits, pa.list_(pa.int64()))],
-            ["doc_id", "n_shingles", "sum_hash", "xor_hash", "keys", "low", "bits"],
+            [batch.column(0), pa.array(sizes, pa.int64()), pa.array(first, pa.int64()), pa.array(second, pa.int64()), pa.array(keys, pa.list_(pa.int64()))],
+            ["doc_id", "n_shingles", "sum_hash", "xor_hash", "keys"],
         )
 
 
@@ -154,13 +140,46 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def _similarities(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """(a, b, common, union) of the full shingle sets of (a, b)."""
-    joined = pairs.join(sets.select(F.col("id").alias("b"), F.col("shingles").alias("sb")), "b")
-    joined = joined.join(sets.select(F.col("id").alias("a"), F.col("shingles").alias("sa")), "a")
+    """(a, b, common, union) of the full shingle sets of (a, b).
+
+    A pivot ``a`` of many pairs is dealt over blocks of its pairs, with a copy of its set for each.
+    """
+    busy = materialise(pairs.groupBy("a").agg(F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("blocks")).where("blocks > 1"), "busy")
+    placed = pairs.join(busy, "a", "left").withColumn("block", F.pmod(F.xxhash64("b"), F.coalesce("blocks", F.lit(1))).cast("int")).drop("blocks")
+    joined = placed.join(sets.select(F.col("id").alias("b"), F.col("shingles").alias("sb")), "b")
+    dealt = sets.join(busy.withColumnRenamed("a", "id"), "id", "left").select(F.col("id").alias("a"), F.col("shingles").alias("sa"), F.explode(F.sequence(F.lit(0), F.coalesce("blocks", F.lit(1)) - 1)).alias("block"))
+    joined = joined.join(dealt, ["a", "block"])
     sized = joined.select("a", "b", F.size(F.array_intersect("sa", "sb")).alias("common"), (F.size("sa") + F.size("sb")).alias("both"))
     return sized.select("a", "b", "common", (F.col("both") - F.col("common")).alias("union"))
 
 
+def _links(pairs: DataFrame, sets: DataFrame, similar: Column) -> DataFrame:
+    """The pairs that are similar on full sets; of rows of one doc_id with several texts, one has to be."""
+    return materialise(_similarities(pairs, sets).where(similar).select("a", "b").distinct(), "links")
+
+
+def _possible_pairs(ends: DataFrame, members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """(a, b): of ends (id) and members (id, component_id), the pairs across components that the prefix filter leaves.
+
+    Each set's shingles are put in order, the rarest first. Sets of the wanted similarity share an element among the first
+    n - ceil(percent n / 100) + 1 of each; and where the first shared one is, what follows must suffice for their overlap, which
+    is at least percent / (100 + percent) of both sizes. Both hold for every such pair, so none is lost.
+    """
+    tall = sets.join(members.select("id"), "id", "left_semi").select("id", "sid", F.size("shingles").alias("n"), F.explode("shingles").alias("s"))
+    shared = tall.groupBy("s").agg(F.count("*").cast("int").alias("df")).where("df > 1")
+    ordered = tall.join(shared, "s").groupBy("sid", "id", "n").agg(F.sort_array(F.collect_list(F.struct("df", "s"))).alias("order"))
+    need = F.ceil(F.col("n") * percent / 100)
+    prefix = F.slice("order", 1, F.greatest(F.lit(0), F.size("order") - need + 1).cast("int"))
+    rows = ordered.select("id", "n", (F.col("n") - F.size("order")).alias("alone"), F.posexplode(prefix).alias("k", "e"))
+    rows = rows.select("id", "n", (F.col("n") - F.col("alone") - F.col("k")).alias("left"), "e.s", F.ceil(F.col("e.df") / BLOCK_ROWS).cast("int").alias("blocks"))
+    rows = materialise(rows.join(members, "id").join(ends.select("id", F.lit(True).alias("end")), "id", "left"), "prefixes")
+    one = rows.where("end").select("s", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), *[F.col(c).alias(f"p_{c}") for c in ("id", "n", "left", "component_id")])
+    two = rows.withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    enough = (100 + percent) * F.least("left", "p_left") >= percent * (F.col("n") + F.col("p_n"))
+    found = one.join(two, ["s", "block"]).where((F.col("component_id") != F.col("p_component_id")) & enough & (F.col("end").isNull() | (F.col("id") < F.col("p_id"))))
+    return found.select(F.least("id", "p_id").alias("a"), F.greatest("id", "p_id").alias("b")).distinct()
+
+
 def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFrame:
     """One row per row of ``docs`` (doc_id, text): n_shingles, component_id, kept, and class_id of equal sets.
 
@@ -171,10 +190,10 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
     """
     spark = workers(docs.sparkSession)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    sketch = materialise(docs.mapInArrow(_sketch, "doc_id long, n_shingles long, sum_hash long, xor_hash long, keys array<long>, low array<short>, bits array<long>"), "sketch")
+    sketch = materialise(docs.mapInArrow(_sketch, "doc_id long, n_shingles long, sum_hash long, xor_hash long, keys array<long>"), "sketch")
     signature = ["n_shingles", "sum_hash", "xor_hash"]
     real = sketch.where("n_shingles > 0 and doc_id is not null")
-    classes = materialise(real.groupBy(*signature).agg(F.min("doc_id").alias("class_id"), F.min_by(F.struct("keys", "low", "bits"), "doc_id").alias("s")).select(*signature, "class_id", "s.*"), "classes")
+    classes = materialise(real.groupBy(*signature).agg(F.min("doc_id").alias("class_id"), F.min_by("keys", "doc_id").alias("keys")), "classes")
 
     each = classes.select("class_id", F.posexplode("keys").alias("slot", "key"))
     shared = each.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
@@ -191,80 +210,37 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
     buckets = materialise(rows.join(pivots, "key"), "buckets")
     wanted = buckets.select("id").distinct()
     sets = docs.select("doc_id", "text").join(wanted.withColumnRenamed("id", "doc_id"), "doc_id", "left_semi")
-    sets = materialise(sets.mapInArrow(_sets, "id long, shingles array<long>"), "sets")
+    sets = materialise(sets.mapInArrow(_sets, "id long, shingles array<long>").withColumn("sid", F.monotonically_increasing_id()), "sets")
 
     similar = 100 * F.col("common") >= percent * F.col("union")
-    star = buckets.where("id != pivot").select(F.col("pivot").alias("a"), F.col("id").alias("b")).distinct()
-    # a pair may be here in both directions; rows of one doc_id may have several sets: the likest counts
-    scored = materialise(_similarities(star, sets).groupBy("a", "b").agg(F.max(F.col("common") / F.col("union")).alias("j"), F.max(similar).alias("linked")), "star")
-    links = scored.where("linked").select("a", "b")
-    near = scored.select(F.col("a").alias("pivot"), F.col("b").alias("id"), "j")
-    members = materialise(buckets.join(near, ["pivot", "id"], "left").select("key", "id", F.coalesce("j", F.lit(1.0)).alias("j")), "members")
-    checked = star.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    words = BITS // 64
-    info = classes.select(F.col("class_id").alias("id"), F.col("n_shingles").alias("n"), "low", *[F.col("bits")[i].alias(f"b{i}") for i in range(words)])
-    facts = ["n", "low", *[f"b{i}" for i in range(words)]]
-
-    def told_of(prefix: str) -> list:
-        return [F.col(c).alias(prefix + c) for c in facts]
-
-    def possible():
-        """Whether a row's set and that of its p_ columns can be similar enough.
-
-        A bit that one bitmap has and the other lacks stands for an element the other set lacks, which bounds what they share
-        (exact); the sketches must agree, too (few true links fail that: see FILTER_MATCHES).
-        """
-        lacks = lambda x, y: sum((F.bit_count(F.col(f"{x}b{i}").bitwiseAND(F.bitwise_not(F.col(f"{y}b{i}")))) for i in range(words)), F.lit(0))
-        most = F.least(F.col("n") - lacks("", "p_"), F.col("p_n") - lacks("p_", ""))
-        agree = F.size(F.filter(F.zip_with("low", "p_low", lambda x, y: x == y), lambda z: z))
-        return (100 * most >= percent * (F.col("n") + F.col("p_n") - most)) & (agree >= FILTER_MATCHES)
-
-    labels, turn, limit, share = components(links), 0, 0, 1 << 20
+    star = materialise(buckets.where("id != pivot").select(F.col("pivot").alias("a"), F.col("id").alias("b")).distinct(), "star")
+    links = _links(star, sets, similar)
+    members, checked, turn, few = buckets.select("key", "id"), star, 0, False
     while True:
+        labels = components(links)
         placed = materialise(members.join(labels, "id", "left").withColumn("component_id", F.coalesce("component_id", "id")), "placed")
         mixed = placed.groupBy("key").agg(F.min("component_id").alias("lo"), F.max("component_id").alias("hi")).where("lo != hi").select("key")
-        seen = materialise(placed.join(mixed, "key").join(info, "id"), "mixed")
+        apart = materialise(placed.join(mixed, "key"), "apart")  # a bucket within one component stays so
         discard(placed)
-        sizes = seen.groupBy("key", "component_id").agg(F.count("*").alias("n")).groupBy("key").agg(F.sum("n").alias("size"), F.max("n").alias("top"), F.max_by("component_id", F.struct("n", "component_id")).alias("largest"))
-        rest = materialise(sizes.select("key", "size", "top", "largest", (F.col("size") - F.col("top")).alias("rest")), "rest")
-        work = rest.agg(F.max("rest").alias("widest"), F.sum(F.col("rest") * F.col("size")).alias("all"), F.sum("size").alias("rows")).first()
-        if not work.widest:
+        sizes = apart.groupBy("key", "component_id").agg(F.count("*").alias("n")).groupBy("key").agg(F.max_by("component_id", F.struct("n", "component_id")).alias("largest"))
+        ends = materialise(apart.join(sizes, "key").where("component_id != largest").drop("largest"), "ends")
+        nodes, members = apart.select("id", "component_id").distinct(), apart.select("key", "id")
+        ids = ends.select("id").distinct()
+        if few or turn == END_ROUNDS or ends.isEmpty():
             break
-        told = seen.join(rest, "key")
-        inside = F.col("component_id") == F.col("largest")
-        draw = lambda of: F.pmod(F.xxhash64(F.col("id"), F.lit(turn)), F.lit(share)) * F.col(of)  # noqa: B023, E731
-        last = False
-        if turn < HELPER_ROUNDS and work.all > 16 * work.rows:
-            # a member outside the largest component needs one link to it: a few drawn helpers find most; the draw
-            # doesn't depend on the bucket, so a group's buckets draw the same ones
-            helpers = told.where(inside & (draw("top") < F.lit(HELPERS * share).cast("long"))).select("key", F.col("id").alias("p"), *told_of("p_"))
-            found = told.where(~inside).join(helpers, "key").where(possible())
-        else:
-            # pairs across components have an end outside the largest one: those ends are compared with every member
-            # whose similarity to the pivot isn't too far from theirs (1 - similarity is a metric), so many of a bucket's
-            # ends at a time that the work stays in proportion to the buckets' rows
-            limit = work.widest if work.all <= ROUND_WORK * work.rows else max(ROUND_WORK, limit * 8)
-            last = limit >= work.widest
-            slack = 1 - percent / 100
-            band = F.floor(F.col("j") / slack).cast("int")
-            ends = told.where(~inside & (draw("rest") < F.lit(limit * share).cast("long"))).select("key", F.col("id").alias("p"), F.col("component_id").alias("cp"), F.col("j").alias("jp"), *told_of("p_"), F.explode(F.array(band - 1, band, band + 1)).alias("band"))
-            found = seen.withColumn("band", band).join(ends, ["key", "band"]).where((F.col("component_id") != F.col("cp")) & (F.abs(F.col("j") - F.col("jp")) <= slack + 1e-9) & possible())
-        found = found.select(F.least("p", "id").alias("a"), F.greatest("p", "id").alias("b")).distinct()
-        fresh = materialise(found.join(checked, ["a", "b"], "left_anti"), "pairs")
-        checked = checked.union(fresh)
-        more = materialise(_similarities(fresh, sets).where(similar).select("a", "b").distinct(), "links")
+        busy = ends.groupBy("id").agg(F.count("*").alias("n"))
+        pivots = ends.join(busy, "id").groupBy("key").agg(F.max(F.struct("n", "id", "component_id")).alias("top"))
+        star = ends.join(pivots, "key").where("component_id != top.component_id").select(F.col("top.id").alias("a"), F.col("id").alias("b")).distinct()
+        star = materialise(star.join(checked, ["a", "b"], "left_anti").join(checked.toDF("b", "a"), ["a", "b"], "left_anti"), "star")
+        more = _links(star, sets, similar)
+        links, checked, turn = links.union(more), checked.union(star), turn + 1
+        few = 16 * more.count() <= ids.count()
+    if not ends.isEmpty():
+        more = _links(_possible_pairs(ids, nodes, sets, percent), sets, similar)
         if not more.isEmpty():
-            links = links.union(more)
-            labels = components(links)
-        # a bucket within one component stays so
-        members = materialise(seen.select("key", "id", "j"), "members")
-        for done in (seen, rest):
-            discard(done)
-        if last:
-            break
-        turn += 1
+            labels = components(links.union(more))
     labels = materialise(labels, "labels")
-    for done in (rows, buckets, sets, scored, members):
+    for done in (rows, buckets, sets):
         discard(done)
     labels = labels.select(F.col("id").alias("class_id"), "component_id")
     out = sketch.join(classes.select(*signature, "class_id").join(labels, "class_id", "left"), signature, "left")

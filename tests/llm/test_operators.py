@@ -84,6 +84,39 @@ def test_near_duplicates_equal_brute_force(spark):
     assert all(r.kept == (r.component_id == r.doc_id) for r in out)
 
 
+def edited_groups(rng):
+    """Heavily edited copies of one text, of which most are like no other, and chains in which only neighbours are alike."""
+    texts = {}
+    base = " ".join(f"b{rng.randrange(10**6)}" for _ in range(150))
+    for _ in range(60):
+        texts[len(texts)] = copies(rng, base, rng.randrange(0, 9))
+    for _ in range(3):
+        t = " ".join(f"c{rng.randrange(10**6)}" for _ in range(200))
+        for _ in range(25):
+            texts[len(texts)] = t = copies(rng, t, 3)
+    for n in range(60, 150, 5):  # one inside the other
+        texts[len(texts)] = " ".join(base.split()[:n])
+    return texts
+
+
+def test_near_duplicates_of_edited_copies_equal_brute_force(spark):
+    texts = edited_groups(random.Random(8))
+    out = minhash.near_duplicates(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect()
+    assert {r.doc_id: (r.n_shingles, r.component_id) for r in out} == brute_components(texts)
+
+
+def test_the_prefix_filter_loses_no_pair(spark, monkeypatch):
+    monkeypatch.setattr(minhash, "BLOCK_ROWS", 8)  # so that shingles are dealt over blocks
+    texts, memo = edited_groups(random.Random(9)), minhash.WordHashes()
+    sets = {i: set(minhash.shingle_set(t.encode(), memo).view(np.int64).tolist()) for i, t in texts.items()}
+    table = spark.createDataFrame([(i, sorted(x), i) for i, x in sets.items()], "id long, shingles array<long>, sid long")
+    nodes = spark.createDataFrame([(i, i % 40) for i in sets], "id long, component_id long")
+    ends = nodes.select("id").where("id % 3 != 0")
+    found = {(r.a, r.b) for r in minhash._possible_pairs(ends, nodes, table, 75).collect()}
+    true = {(a, b) for a in sets for b in sets if a < b and a % 40 != b % 40 and (a % 3 or b % 3) and 100 * len(sets[a] & sets[b]) >= 75 * len(sets[a] | sets[b])}
+    assert true and true <= found and len(found) < 20 * len(true)
+
+
 def test_near_duplicates_of_odd_rows(spark):
     out = minhash.near_duplicates(odd_docs(spark)).collect()
     assert len(out) == len(ODD) + 2
