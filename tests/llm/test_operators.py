@@ -7,6 +7,7 @@ import hashlib
 import math
 import random
 import re
+import time
 import zlib
 
 import numpy as np
@@ -499,6 +500,68 @@ def test_the_models_tell_random_from_ordinary(spark):
     assert [r.text for r in secrets.redact(both, ratios).orderBy("doc_id").collect()] == ["a [SECRET] b [SECRET] c", None]
 
 
+def brute_random(text, ratios, base):
+    """Runs whose mean transition ratio reaches the threshold and that overlap no base span, found with Python's re."""
+    out = []
+    for m in re.finditer(secrets.RUN, text or "", re.ASCII):
+        steps = [round(ratios[ord(a) * 128 + ord(b)], 5) for a, b in zip(m[0], m[0][1:], strict=False)]
+        if sum(steps) / len(steps) >= secrets.RATIO_PER_CHARACTER and not any(a < m.end() and m.start() < b for a, _, b in base):
+            out.append((m.start(), 3, m.end()))
+    return out
+
+
+def brute_redacted(text, spans):
+    out, at = "", 0
+    for a, _, b in spans:
+        if a >= at:
+            out += text[at:a] + secrets.REDACTED
+        at = max(at, b)
+    return out + text[at:]
+
+
+def test_random_spans_and_redaction_equal_brute_force(spark):
+    docs = spark.read.parquet(f"{DATA}/documents.parquet")
+    ratios = secrets.transition_ratios(secrets.labelled_samples(docs))
+    rng = random.Random(12)
+    key = lambda n, chars: "".join(rng.choice(chars) for _ in range(n))
+    letters, coded = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/"
+    parts = [" ", "é ", "the_and_with_other_words_12", "/usr/local/share/python/lib", "token=", "Secret: "]
+    texts = ["".join(rng.choice([*parts, key(24, coded), key(30, letters), key(26, "0123456789abcdef"), "AKIA" + key(16, "ABCDEFGHIJKLMNOPQRSTUVWXYZ")]) for _ in range(rng.randrange(12))) for _ in range(200)]
+    texts += [" ".join(rng.choice(["x=", ""]) + key(28, coded) for _ in range(700))]
+    texts += [r.text for r in docs.orderBy("doc_id").limit(60).collect()] + [None, ""]
+    frame = spark.createDataFrame([(i, t, "x", i) for i, t in enumerate(texts)], "doc_id long, text string, base_spans string, __random long")
+    found = {r.doc_id: r.spans for r in secrets.scan(frame, ratios).collect()}
+    clean = {r.doc_id: r for r in secrets.redact(frame, ratios).collect()}
+    assert secrets.redact(frame, ratios).columns == frame.columns
+    n = 0
+    for i, t in enumerate(texts):
+        base = brute_secrets(t)
+        spans = sorted(base + brute_random(t, ratios, base))
+        n += len(spans) - len(base)
+        assert found[i] == ",".join(f"{secrets.KINDS[k]}:{a}:{b}" for a, k, b in spans), t
+        assert clean[i].text == (None if t is None else brute_redacted(t, spans)) and clean[i].base_spans == "x"
+    assert n > 300 and found[200].count("random") > 600
+
+
+def test_a_key_without_a_digit_is_found(spark):
+    docs = spark.read.parquet(f"{DATA}/documents.parquet")
+    text = "set KqZxWvTgBnMpLrYcJdHfSw now"
+    got = secrets.scan(spark.createDataFrame([(1, text)], "doc_id long, text string"), secrets.transition_ratios(secrets.labelled_samples(docs))).first()
+    assert got.spans == "random:4:26"
+
+
+def test_many_matches_in_one_text_take_seconds(spark):
+    text = " ".join(hashlib.md5(str(i).encode()).hexdigest() for i in range(16000))
+    frame = spark.createDataFrame([(1, text)], "doc_id long, text string")
+    ratios = [0.0] * (128 * 128)
+    began = time.time()
+    got = secrets.scan(frame, ratios).first()
+    clean = secrets.redact(frame, ratios).first()
+    assert got.n_hex == 16000 and got.spans.endswith(f"hex:{15999 * 33}:{15999 * 33 + 32}")
+    assert clean.text == " ".join([secrets.REDACTED] * 16000)
+    assert time.time() - began < 60
+
+
 def test_secrets_plan_has_no_python(spark):
     plan = secrets.scan(spark.read.parquet(f"{DATA}/documents.parquet"))._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Pandas|Arrow", plan)
