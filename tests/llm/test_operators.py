@@ -412,6 +412,26 @@ def test_contamination_equals_brute_force(spark, block_chars):
     assert not fmindex.find_contamination(frame, bench.limit(0)).where("contaminated").count()
 
 
+def test_removal_does_not_depend_on_blocks(spark):
+    items = [(1, " ".join(f"a{i}" for i in range(12))), (2, " ".join(f"a{i}" for i in range(5, 15))), (3, "b1 b2 b3")]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    texts = ["x " + " ".join(f"a{i}" for i in range(15)) + " y", "b1 b2 q b1 b2 b3 b3", "b1 b1 b2 b3 b2 b3", None, "", "a b c"]
+    frame = spark.createDataFrame([(i if i != 2 else None, t, "z", "k") for i, t in enumerate(texts + texts[:1])], "doc_id long, text string, hits string, text_hash string")
+    whole = sorted((str(r.doc_id), r.text, r.hits) for r in fmindex.remove_contamination(frame, bench).where("text is not null").collect())
+    split = sorted((str(r.doc_id), r.text, r.hits) for r in fmindex.remove_contamination(frame, bench, block_chars=20).where("text is not null").collect())
+    assert whole == split and [t for _, t, _ in whole if t and "x" in t] == ["x  y"] * 2
+    assert sorted(" ".join(t.split()) for _, t, _ in whole) == ["", "", "a b c", "b1 b2 q b3", "x y", "x y"]
+
+
+def test_shards_of_any_size_find_the_same(monkeypatch):
+    rng = random.Random(6)
+    items = [(str(i), words(rng, rng.choice([2, 10, 13]), 12)) for i in range(20)]
+    texts = [(words(rng, rng.randrange(60), 12) + " " + rng.choice(items)[1]).encode() for _ in range(80)] + [None, b""]
+    windows = fmindex.Windows(items)
+    told = [[(s.tolist(), i) for shard in fmindex.shards(texts, most) for s, i in shard.find(windows)] for most in (1, 40, 10**6)]
+    assert told[0] == told[1] == told[2] and sum(len(i) for _, i in told[0]) > 80
+
+
 def test_fm_index_counts_and_locates():
     rng = np.random.default_rng(4)
     for sigma in (1, 2, 9):
