@@ -26,7 +26,7 @@ from attrgraph.session import materialise, workers
 WINDOW = 10
 SAMPLE_EVERY = 8
 BLOCK_CHARS = 16_000_000
-SHARD_WORDS = 1 << 20
+SHARD_WORDS = 1 << 18
 _TABLE = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
 _WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 _UPPER = str.maketrans({c: c + 32 for c in range(65, 91)})

@@ -55,6 +55,7 @@ def lines_of(page: str | None) -> list[tuple[str, bool, bool]]:
     out: list[tuple[str, bool, bool]] = []
     page = page or ""
     stack: list[tuple[str, bool, bool]] = []
+    open_at: dict[str, list[int]] = {}  # places of open elements by name, so that no step searches the stack
     zone = frame = False
     words: list[str] = []
 
@@ -64,6 +65,13 @@ def lines_of(page: str | None) -> list[tuple[str, bool, bool]]:
             out.append((text, zone, frame))
         words.clear()
 
+    def close(k: int) -> None:
+        nonlocal zone, frame
+        _, zone, frame = stack[k]
+        for x in stack[k:]:
+            open_at[x[0]].pop()
+        del stack[k:]
+
     at, raw = 0, ""
     for m in _TOKEN.finditer(page):
         if m.start() < at:
@@ -81,10 +89,8 @@ def lines_of(page: str | None) -> list[tuple[str, bool, bool]]:
         if name in BLOCKS or name in RAW:
             flush()
         if m[1]:
-            places = [k for k, x in enumerate(stack) if x[0] == name]
-            if places:
-                _, zone, frame = stack[places[-1]]
-                del stack[places[-1] :]
+            if open_at.get(name):
+                close(open_at[name][-1])
             continue
         if name in RAW:
             if not m[3].rstrip().endswith("/"):
@@ -94,11 +100,10 @@ def lines_of(page: str | None) -> list[tuple[str, bool, bool]]:
         if name in VOID:
             continue
         while stack and stack[-1][0] in CLOSES.get(name, ()):
-            _, zone, frame = stack.pop()
-        if name in BLOCKS and name != "p" and any(x[0] == "p" for x in stack):
-            k = next(k for k, x in enumerate(stack) if x[0] == "p")
-            _, zone, frame = stack[k]
-            del stack[k:]
+            close(len(stack) - 1)
+        if name in BLOCKS and name != "p" and open_at.get("p"):
+            close(open_at["p"][0])
+        open_at.setdefault(name, []).append(len(stack))
         stack.append((name, zone, frame))
         frame = frame or _framed(name, m[3], zone)
         zone = zone or name in ZONES or 'role="main"' in m[3].lower()
@@ -225,8 +230,9 @@ def extract_main_text(pages: DataFrame) -> DataFrame:
 
     Null or empty html gives an empty text. Pages without a host, or without another page on it, and pages with a null
     page_id are not differenced; the rest holds for them. Pages of one host with the same path are next to each other by
-    page_id. Rows that repeat a page_id are each extracted, with the neighbours of all of them. Other columns are
-    ignored; an empty table gives an empty result.
+    page_id. Rows that repeat a page_id are each extracted, with the neighbours of all of them. Very long pages are taken whole,
+    in proportion to their length (and, in alignment, to the pairs of equal lines). Other columns are ignored; an empty table
+    gives an empty result.
     """
     workers(pages.sparkSession)
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))

@@ -465,6 +465,13 @@ def test_pages(spark):
     assert pages.extract_main_text(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
 
 
+def test_deeply_nested_pages_take_seconds():
+    began = time.time()
+    assert [t for t, _, _ in pages.lines_of("<div>" * 60_000 + "x" + "</div>" * 60_000 + "<p>y")] == ["x", "y"]
+    assert [t for t, _, _ in pages.lines_of("<div><p>a" * 30_000)] == ["a"] * 30_000
+    assert time.time() - began < 10
+
+
 def test_shared_lines_are_longest():
     rng = random.Random(1)
     for _ in range(200):
