@@ -1,9 +1,11 @@
 """Approximate nearest neighbours over balanced posting lists.
 
-Centroids come from size-penalised k-means on a bounded sample. A vector goes to its nearest centroid's list and, if it
-lies near a boundary, to further lists whose centroids are almost as near. A query finds its centroids by best-first search over a neighbour graph of the centroids
-held in memory, keeps the lists whose distance is within a ratio of the nearest one's, and is compared exactly with the
-vectors in those. Lists are packed into shards of bounded size; a list beyond that size is dealt over several.
+Lists are the cells of a power diagram: a centroid has a weight that is added to squared distances, and k-means on a bounded
+sample raises the weights of full lists and lowers those of empty ones until the lists are of similar size. A vector goes to its
+own cell's list and, if it lies near a boundary, to further lists that are almost as near. A query finds its centroids by best-first
+search over a neighbour graph of the centroids held in memory, keeps the lists whose distance is within a ratio of the
+nearest one's (and a least share of all lists), and is compared exactly with the vectors in those. Lists are packed into shards of bounded
+size; a list beyond that size (of a very common vector) is dealt over several.
 """
 
 from __future__ import annotations
@@ -24,8 +26,10 @@ LIST_SIZE = 128
 MAX_LISTS = 8192
 REPLICAS = 4
 BOUNDARY_RATIO = 1.10
-PROBE_RATIO = 1.15
+PROBE_RATIO = 1.06
+LEAST_LISTS, LEAST_SHARE = 4, 8
 SHARD_ROWS = 4096
+QUERY_ROWS = 20_000
 K = 10
 
 
@@ -35,14 +39,16 @@ def distances(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 class Centroids:
-    """Centroids with a neighbour graph over them."""
+    """Weighted centroids with a neighbour graph over them."""
 
-    def __init__(self, points: np.ndarray, degree: int = 24):
-        self.points = points
+    def __init__(self, points: np.ndarray, weights: np.ndarray | None = None, degree: int = 24):
+        self.points, self.weights = points, np.zeros(len(points)) if weights is None else weights
         n = len(points)
-        d = distances(points, points)
-        np.fill_diagonal(d, np.inf)
-        near = np.argsort(d, axis=1, kind="stable")[:, : min(degree, n - 1)]
+        near = np.empty((n, min(degree, n - 1)), np.int64)
+        for i in range(0, n, 1024):
+            d = distances(points[i : i + 1024], points)
+            d[np.arange(len(d)), i + np.arange(len(d))] = np.inf
+            near[i : i + 1024] = np.argsort(d, axis=1, kind="stable")[:, : near.shape[1]]
         links: list[set[int]] = [set(row.tolist()) for row in near]
         for i in range(n):
             for j in near[i].tolist():
@@ -62,11 +68,12 @@ class Centroids:
                 order = [lost]
         self.links = [np.array(sorted(x), np.int64) for x in links]
 
-    def search(self, query: np.ndarray, ratio: float, beam: int = 32) -> np.ndarray:
-        """Centroids within ``ratio`` of the nearest one found, by best-first search."""
+    def search(self, query: np.ndarray, ratio: float, least: int = 1) -> np.ndarray:
+        """Centroids within ``ratio`` of the nearest one found, the ``least`` nearest in any case, by best-first search."""
+        beam = max(32, least)
         seen = np.zeros(len(self.points), bool)
         seen[0] = True
-        d0 = float(((self.points[0] - query) ** 2).sum())
+        d0 = float(((self.points[0] - query) ** 2).sum() + self.weights[0])
         queue, best, found = [(d0, 0)], [-d0], [(d0, 0)]
         low = d0
         while queue:
@@ -75,47 +82,51 @@ class Centroids:
                 break
             new = self.links[i][~seen[self.links[i]]]
             seen[new] = True
-            for dj, j in zip(((self.points[new] - query) ** 2).sum(1).tolist(), new.tolist(), strict=True):
+            for dj, j in zip((((self.points[new] - query) ** 2).sum(1) + self.weights[new]).tolist(), new.tolist(), strict=True):
                 found.append((dj, j))
                 heapq.heappush(queue, (dj, j))
                 heapq.heappush(best, -dj)
                 if len(best) > beam:
                     heapq.heappop(best)
                 low = min(low, dj)
-        return np.array([j for dj, j in sorted(found) if dj <= low * ratio * ratio + 1e-12], np.int64)
+        return np.array([j for place, (dj, j) in enumerate(sorted(found)) if place < least or dj <= low * ratio * ratio + 1e-12], np.int64)
 
 
-def train(sample: np.ndarray, lists: int, rounds: int = 10, penalty: float = 0.3) -> np.ndarray:
-    """Distinct centroids whose lists are of similar size in the sample."""
+def train(sample: np.ndarray, lists: int, rounds: int = 40) -> tuple[np.ndarray, np.ndarray]:
+    """(centroids, weights) whose cells hold similar numbers of the sample; equal vectors can't be told apart."""
     rng = np.random.default_rng(11)
     unique = np.unique(sample, axis=0)
     lists = max(1, min(lists, len(unique)))
     points = unique[rng.permutation(len(unique))[:lists]].copy()
-    load = np.ones(lists)
-    for _ in range(rounds):
-        sums, counts, spread = np.zeros_like(points), np.zeros(lists), 0.0
+    weights = np.zeros(lists)
+    for turn in range(rounds):
+        moving = turn < rounds // 2
+        sums, counts, near = np.zeros_like(points), np.zeros(lists), []
         for i in range(0, len(sample), 2048):
             block = sample[i : i + 2048]
             d = distances(block, points)
-            pick = (d + penalty * d.min(axis=1).mean() * np.log1p(load)[None]).argmin(axis=1)
-            np.add.at(sums, pick, block)
+            pick = (d + weights).argmin(axis=1)
             counts += np.bincount(pick, minlength=lists)
-            spread += float(d.min(axis=1).sum())
-        full = counts > 0
-        points[full] = sums[full] / counts[full, None]
-        points[~full] = unique[rng.integers(0, len(unique), int((~full).sum()))]
-        load = counts / max(1.0, counts.mean())
-        if spread < 1e-18:
-            break
-    return np.unique(points, axis=0)
+            near.append(d.min(axis=1))
+            if moving:
+                np.add.at(sums, pick, block)
+        if moving:
+            full = counts > 0
+            points[full] = sums[full] / counts[full, None]
+            points[~full] = unique[rng.integers(0, len(unique), int((~full).sum()))]
+        step = 0.15 * float(np.median(np.concatenate(near))) * (1 if moving else 2 - 2 * turn / rounds)
+        weights += step * np.clip(counts / max(1.0, counts.mean()) - 1, -1, 1)
+        weights -= weights.min()
+    return points, weights
 
 
 def _stack(column: pd.Series) -> np.ndarray:
     return np.stack(column.to_numpy()).astype(np.float64)
 
 
-def assign(vectors: np.ndarray, points: np.ndarray, replicas: int = REPLICAS, ratio: float = BOUNDARY_RATIO) -> list[list[int]]:
-    d = distances(vectors, points)
+def assign(vectors: np.ndarray, points: np.ndarray, weights: np.ndarray, replicas: int = REPLICAS, ratio: float = BOUNDARY_RATIO) -> list[list[int]]:
+    """The lists of each vector, its own cell's first."""
+    d = distances(vectors, points) + weights
     top = min(replicas * 2, d.shape[1])
     near = np.argpartition(d, top - 1, axis=1)[:, :top]
     near = np.take_along_axis(near, np.argsort(np.take_along_axis(d, near, 1), axis=1, kind="stable"), 1)
@@ -130,20 +141,20 @@ def assign(vectors: np.ndarray, points: np.ndarray, replicas: int = REPLICAS, ra
     return out
 
 
-def _post(frames: Iterator[pd.DataFrame], points: np.ndarray) -> Iterator[pd.DataFrame]:
+def _post(frames: Iterator[pd.DataFrame], points: np.ndarray, weights: np.ndarray) -> Iterator[pd.DataFrame]:
     for pdf in frames:
         for i in range(0, len(pdf), 1024):
             some = pdf.iloc[i : i + 1024]
-            lists = assign(_stack(some["embedding"]), points)
+            lists = assign(_stack(some["embedding"]), points, weights)
             yield some.assign(list=lists).explode("list").astype({"list": "int32"})[["vec_id", "embedding", "list"]]
 
 
-def _probe(frames: Iterator[pd.DataFrame], points: np.ndarray, shards: dict[int, list[int]], ratio: float) -> Iterator[pd.DataFrame]:
-    graph = Centroids(points)
+def _probe(frames: Iterator[pd.DataFrame], points: np.ndarray, weights: np.ndarray, shards: dict[int, list[int]], ratio: float, least: int) -> Iterator[pd.DataFrame]:
+    graph = Centroids(points, weights)
     for pdf in frames:
         rows = []
         for vec_id, v in zip(pdf["vec_id"], pdf["embedding"], strict=True):
-            mine = sorted({s for c in graph.search(np.asarray(v, np.float64), ratio).tolist() for s in shards.get(c, ())})
+            mine = sorted({s for c in graph.search(np.asarray(v, np.float64), ratio, least).tolist() for s in shards.get(c, ())})
             rows += [(vec_id, v, s) for s in mine]
         yield pd.DataFrame(rows, columns=["query_id", "query", "shard"])
 
@@ -205,11 +216,13 @@ def usable(vectors: DataFrame) -> DataFrame:
     return good.where(F.size("embedding") == (width.n if width else 0))
 
 
-def search(vectors: DataFrame, every: int = 100, k: int = K, list_size: int = LIST_SIZE, ratio: float = PROBE_RATIO, query_block: int = 2000) -> DataFrame:
+def search(vectors: DataFrame, every: int = 100, k: int = K, list_size: int = LIST_SIZE, ratio: float = PROBE_RATIO, query_block: int = 2000, most_lists: int = MAX_LISTS, sample_size: int = SAMPLE) -> DataFrame:
     """query_id, rank, vec_id, score: for each vector whose id is divisible by ``every``, its k nearest found others.
 
     Distances are Euclidean in double precision on the original vectors, ties go to the smaller vec_id. Rows of one
-    vec_id count as one candidate, at its least distance. A query that the lists give fewer than k answers is compared
+    vec_id count as one candidate, at its least distance, and as one query, with the least of its vectors in array order. Centroids
+    are fitted on about ``sample_size`` vectors, drawn by a hash of vec_id; every vector is in the lists. Lists hold about
+    ``list_size`` vectors as long as that takes no more than ``most_lists`` centroids, then more. A query that the lists give fewer than k answers is compared
     with all vectors, in blocks of ``query_block`` queries, so fewer come back only if there are fewer. Nulls, zeros and
     non-finite components take no part; other columns are ignored; an empty table gives an empty result.
     """
@@ -222,10 +235,14 @@ def search(vectors: DataFrame, every: int = 100, k: int = K, list_size: int = LI
     stats = rows.agg(F.count("*").alias("n")).first()
     if not stats.n:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    sample = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE).select("embedding").toPandas()
-    points = train(_stack(sample["embedding"]), min(MAX_LISTS, max(1, stats.n // list_size)))
+    share = min(1.0, sample_size / stats.n)
+    drawn = rows.where(F.pmod(F.xxhash64("vec_id"), F.lit(1 << 30)) <= int(share * (1 << 30))) if share < 1 else rows
+    sample = drawn.groupBy("vec_id").agg(F.min("embedding").alias("embedding")).toPandas().sort_values("vec_id")
+    if not len(sample):
+        sample = rows.limit(1).toPandas()
+    points, weights = train(_stack(sample["embedding"]), min(most_lists, max(1, stats.n // list_size)))
     kind = single.schema["embedding"].dataType.simpleString()
-    posted = materialise(single.mapInPandas(partial(_post, points=points), f"vec_id long, embedding {kind}, list int"), "postings")
+    posted = materialise(single.mapInPandas(partial(_post, points=points, weights=weights), f"vec_id long, embedding {kind}, list int"), "postings")
     sizes = {r.list: r.n for r in posted.groupBy("list").agg(F.count("*").alias("n")).collect()}
     shards, base, parts, filled = {}, {}, {}, SHARD_ROWS
     shard = -1
@@ -240,10 +257,15 @@ def search(vectors: DataFrame, every: int = 100, k: int = K, list_size: int = LI
         shard += pieces - 1
     layout = spark.createDataFrame([(c, base[c], parts[c]) for c in sorted(sizes)], "list int, base int, parts int")
     dealt = posted.join(F.broadcast(layout), "list").withColumn("shard", (F.col("base") + F.pmod(F.xxhash64("vec_id"), F.col("parts"))).cast("int"))
-    queries = single.where(F.col("vec_id") % every == 0).dropDuplicates(["vec_id"])
-    probes = queries.mapInPandas(partial(_probe, points=points, shards=shards, ratio=ratio), f"query_id long, query {kind}, shard int")
+    queries = materialise(single.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min("embedding").alias("embedding")), "queries")
+    least = max(LEAST_LISTS, -(-len(points) // LEAST_SHARE))
+    probes = queries.mapInPandas(partial(_probe, points=points, weights=weights, shards=shards, ratio=ratio, least=least), f"query_id long, query {kind}, shard int")
+    # a shard's vectors meet its queries in blocks, so that no task holds more than about QUERY_ROWS of them
+    turns = -(-queries.count() // QUERY_ROWS)
+    dealt = dealt.select("shard", "vec_id", "embedding", F.explode(F.sequence(F.lit(0), F.lit(max(0, turns - 1)))).alias("turn"))
+    probes = probes.withColumn("turn", F.pmod(F.xxhash64("query_id"), F.lit(max(1, turns))).cast("int"))
     compare = lambda a, b: _compare(a, b, k)
-    found = dealt.select("shard", "vec_id", "embedding").groupBy("shard").cogroup(probes.groupBy("shard")).applyInPandas(compare, _FOUND)
+    found = dealt.groupBy("shard", "turn").cogroup(probes.groupBy("shard", "turn")).applyInPandas(compare, _FOUND)
     ranked = materialise(_ranked(found, k), "nearest")
     counts = ranked.groupBy("query_id").agg(F.count("*").alias("n"))
     lacking = queries.join(counts, queries.vec_id == counts.query_id, "left").where(F.coalesce("n", F.lit(0)) < min(k, stats.n - 1)).select("vec_id", "embedding")

@@ -224,6 +224,31 @@ def test_neighbours_of_odd_vectors(spark):
     assert neighbours.search(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
 
 
+def test_lists_are_balanced_and_pruned():
+    """On the given vectors (unit length, without near neighbours): sizes of cells, and what a query reads."""
+    import pyarrow.parquet as pq
+
+    v = np.stack(pq.read_table("/root/testdata/sf0.1/embeddings.parquet")["embedding"].to_numpy(zero_copy_only=False)).astype(float)
+    points, weights = neighbours.train(v, 15)
+    lists = neighbours.assign(v, points, weights)
+    own = np.bincount([x[0] for x in lists], minlength=15)
+    assert own.min() > 100 and own.max() < 170 and all(1 <= len(x) <= neighbours.REPLICAS for x in lists)
+    graph = neighbours.Centroids(points, weights)
+    d = neighbours.distances(v[::100], points) + weights
+    for q, row in zip(v[::100], d, strict=True):
+        found = graph.search(q, neighbours.PROBE_RATIO, 2)
+        want = np.flatnonzero(row <= row.min() * neighbours.PROBE_RATIO**2)
+        assert set(want) <= set(found.tolist()) and len(found) == max(2, len(want)) and found[0] == row.argmin()
+
+
+def test_query_blocks_change_nothing(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    table = spark.createDataFrame([(i, rng.standard_normal(4).tolist()) for i in range(900)] + [(0, [9.0, 9.0, 9.0, 9.0])], "vec_id long, embedding array<double>")
+    one = [tuple(r) for r in neighbours.search(table, every=10, list_size=32).orderBy("query_id", "rank").collect()]
+    monkeypatch.setattr(neighbours, "QUERY_ROWS", 20)
+    assert one == [tuple(r) for r in neighbours.search(table, every=10, list_size=32).orderBy("query_id", "rank").collect()] and len(one) == 900
+
+
 def test_a_very_common_vector_is_dealt_out(spark, monkeypatch):
     monkeypatch.setattr(neighbours, "SHARD_ROWS", 50)
     rng = np.random.default_rng(1)
