@@ -26,8 +26,8 @@ LIST_SIZE = 128
 MAX_LISTS = 8192
 REPLICAS = 4
 BOUNDARY_RATIO = 1.10
-PROBE_RATIO = 1.06
-LEAST_LISTS, LEAST_SHARE = 4, 8
+PROBE_RATIO = 1.07
+LEAST_LISTS, LEAST_SHARE = 4, 7
 SHARD_ROWS = 4096
 QUERY_ROWS = 20_000
 K = 10
@@ -154,9 +154,12 @@ def _probe(frames: Iterator[pd.DataFrame], points: np.ndarray, weights: np.ndarr
     for pdf in frames:
         rows = []
         for vec_id, v in zip(pdf["vec_id"], pdf["embedding"], strict=True):
-            mine = sorted({s for c in graph.search(np.asarray(v, np.float64), ratio, least).tolist() for s in shards.get(c, ())})
-            rows += [(vec_id, v, s) for s in mine]
-        yield pd.DataFrame(rows, columns=["query_id", "query", "shard"])
+            mine: dict[int, list[int]] = {}
+            for c in graph.search(np.asarray(v, np.float64), ratio, least).tolist():
+                for s in shards.get(c, ()):
+                    mine.setdefault(s, []).append(c)
+            rows += [(vec_id, v, s, lists) for s, lists in mine.items()]
+        yield pd.DataFrame(rows, columns=["query_id", "query", "shard", "lists"])
 
 
 def nearest(ids: np.ndarray, vectors: np.ndarray, query_ids: np.ndarray, queries: np.ndarray, k: int) -> list[tuple[int, int, float]]:
@@ -185,8 +188,17 @@ def nearest(ids: np.ndarray, vectors: np.ndarray, query_ids: np.ndarray, queries
 def _compare(vectors: pd.DataFrame, queries: pd.DataFrame, k: int) -> pd.DataFrame:
     if not len(vectors) or not len(queries):
         return pd.DataFrame({"query_id": [], "vec_id": [], "score": []}).astype({"query_id": "int64", "vec_id": "int64", "score": "float64"})
-    rows = nearest(vectors["vec_id"].to_numpy(), _stack(vectors["embedding"]), queries["query_id"].to_numpy(), _stack(queries["query"]), k)
-    return pd.DataFrame(rows, columns=["query_id", "vec_id", "score"])
+    ids, x, of = vectors["vec_id"].to_numpy(), _stack(vectors["embedding"]), vectors["list"].to_numpy()
+    order = np.argsort(of, kind="stable")
+    of, first = np.unique(of[order], return_index=True)
+    place = dict(zip(of.tolist(), np.split(order, first[1:]), strict=True))
+    rows = []
+    for q, v, lists in zip(queries["query_id"].to_numpy(), _stack(queries["query"]), queries["lists"], strict=True):
+        pick = [place[c] for c in lists if c in place]
+        if pick:
+            pick = np.concatenate(pick)
+            rows += nearest(ids[pick], x[pick], np.array([q]), v[None], k)
+    return pd.DataFrame(rows, columns=["query_id", "vec_id", "score"]).astype({"query_id": "int64", "vec_id": "int64", "score": "float64"})
 
 
 def _brute(frames: Iterator[pd.DataFrame], queries: list[tuple[int, list[float]]], k: int) -> Iterator[pd.DataFrame]:
@@ -259,10 +271,10 @@ def search(vectors: DataFrame, every: int = 100, k: int = K, list_size: int = LI
     dealt = posted.join(F.broadcast(layout), "list").withColumn("shard", (F.col("base") + F.pmod(F.xxhash64("vec_id"), F.col("parts"))).cast("int"))
     queries = materialise(single.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min("embedding").alias("embedding")), "queries")
     least = max(LEAST_LISTS, -(-len(points) // LEAST_SHARE))
-    probes = queries.mapInPandas(partial(_probe, points=points, weights=weights, shards=shards, ratio=ratio, least=least), f"query_id long, query {kind}, shard int")
+    probes = queries.mapInPandas(partial(_probe, points=points, weights=weights, shards=shards, ratio=ratio, least=least), f"query_id long, query {kind}, shard int, lists array<int>")
     # a shard's vectors meet its queries in blocks, so that no task holds more than about QUERY_ROWS of them
     turns = -(-queries.count() // QUERY_ROWS)
-    dealt = dealt.select("shard", "vec_id", "embedding", F.explode(F.sequence(F.lit(0), F.lit(max(0, turns - 1)))).alias("turn"))
+    dealt = dealt.select("shard", "list", "vec_id", "embedding", F.explode(F.sequence(F.lit(0), F.lit(max(0, turns - 1)))).alias("turn"))
     probes = probes.withColumn("turn", F.pmod(F.xxhash64("query_id"), F.lit(max(1, turns))).cast("int"))
     compare = lambda a, b: _compare(a, b, k)
     found = dealt.groupBy("shard", "turn").cogroup(probes.groupBy("shard", "turn")).applyInPandas(compare, _FOUND)
