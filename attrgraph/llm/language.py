@@ -2,7 +2,7 @@
 
 Each language has a raw-content zstandard dictionary of its own text. A text is cut into blocks that
 together hold all of it, each block is compressed with each dictionary, and the language whose blocks are
-smallest in sum wins. A margin under ``reject_margin`` (share of the winner's size) marks the answer as
+smallest in sum wins. A dictionary is a bounded sample: stretches from all over the chosen texts. A margin under ``reject_margin`` (share of the winner's size) marks the answer as
 not reliable.
 """
 
@@ -25,11 +25,27 @@ DICTIONARY_BYTES = 48 * 1024
 SAMPLE_DOCS = 96
 REJECT_MARGIN = 0.01
 UNKNOWN = "und"
-_LETTER = re.compile(r"[^\W\d_]")
+STRETCHES = 4
+_MAYBE_LETTER = re.compile(r"[^\W\d_]")
+
+
+def has_letter(text: str) -> bool:
+    """Whether a character of a letter category occurs; numbers such as one half or Roman ones aren't letters."""
+    return any(m[0].isalpha() for m in _MAYBE_LETTER.finditer(text))
+
+
+def spread(data: bytes, size: int) -> bytes:
+    """At most ``size`` bytes: stretches that stand evenly from the first to the last byte."""
+    if len(data) <= size:
+        return data
+    each = max(1, (size - STRETCHES + 1) // STRETCHES)
+    return b" ".join(data[i * (len(data) - each) // (STRETCHES - 1) :][: each] for i in range(STRETCHES))[:size]
 
 
 def learn_dictionaries(labelled: DataFrame, docs_per_language: int = SAMPLE_DOCS, dictionary_bytes: int = DICTIONARY_BYTES) -> dict[str, bytes]:
-    """Raw dictionaries from at most ``docs_per_language`` texts and ``dictionary_bytes`` bytes a language.
+    """Raw dictionaries of at most ``dictionary_bytes`` bytes from at most ``docs_per_language`` texts of a language.
+
+    Of a text longer than its share, ``STRETCHES`` stretches are taken that lie evenly over the whole text.
 
     The sample is the bounded one that the contract allows: the rows of (doc_id, text, lang) with the smallest
     hash of doc_id. Only ids are ranked; texts are read again for the chosen ids alone.
@@ -38,7 +54,10 @@ def learn_dictionaries(labelled: DataFrame, docs_per_language: int = SAMPLE_DOCS
     order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
     chosen = usable.select("doc_id", "lang").withColumn("place", F.row_number().over(order)).where(F.col("place") <= docs_per_language)
     ids = sorted({r.doc_id for r in chosen.select("doc_id").collect()})
-    rows = usable.where(F.col("doc_id").isin(ids)).select("doc_id", "lang", F.substring("text", 1, dictionary_bytes).alias("text")).collect() if ids else []
+    each = dictionary_bytes // STRETCHES
+    cut = F.array_join(F.transform(F.sequence(F.lit(0), F.lit(STRETCHES - 1)), lambda i: F.substring("text", (i * (F.length("text") - each) / (STRETCHES - 1)).cast("int") + 1, F.lit(each))), " ")
+    text = F.when(F.length("text") <= dictionary_bytes, F.col("text")).otherwise(cut)
+    rows = usable.where(F.col("doc_id").isin(ids)).select("doc_id", "lang", text.alias("text")).collect() if ids else []
     texts: dict[str, list] = {}
     for r in sorted(rows, key=lambda r: (r.lang, r.doc_id, r.text)):
         texts.setdefault(r.lang, []).append(r.text.lower().encode())
@@ -48,7 +67,7 @@ def learn_dictionaries(labelled: DataFrame, docs_per_language: int = SAMPLE_DOCS
         # every sampled text gives its share; what short ones leave goes to the long ones
         size, kept = share(parts), []
         for p in sorted(parts, key=len):
-            kept.append(p[:size])
+            kept.append(spread(p, size))
             left = len(parts) - len(kept)
             if left:
                 size = (dictionary_bytes - sum(map(len, kept))) // left
@@ -81,7 +100,7 @@ class Classifier:
 
     def predict(self, text: str | None, reject_margin: float = REJECT_MARGIN) -> tuple[str, float, bool]:
         """(language, score 0..1, reliable); ``und``, 0, False for null, text without a letter, or nothing learnt."""
-        if text is None or not self.languages or not _LETTER.search(text):
+        if text is None or not self.languages or not has_letter(text):
             return UNKNOWN, 0.0, False
         sizes = self.sizes(text)
         best = int(np.argmin(sizes))
@@ -102,9 +121,9 @@ def identify_languages(docs: DataFrame, folds: int = 5) -> DataFrame:
     """Predict the language of every whole text of (doc_id, text, lang).
 
     Documents whose crc32(doc_id as text) mod ``folds`` is 0 are held out of learning; so are those with a null
-    doc_id, which count as not held out. A null text, one without a letter (the empty one too), and every text
+    doc_id, which count as not held out. Very long texts are compressed whole. A null text, one without a letter (the empty one too), and every text
     where nothing could be learnt give ``und`` with score 0. Repeated rows give repeated answers. Equal sizes go
-    to the language that sorts first. Other columns are ignored.
+    to the language that sorts first. Other columns are ignored; an empty table gives an empty result.
     """
     workers(docs.sparkSession)
     fold = F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(folds))

@@ -33,7 +33,7 @@ class Shapes(dict):
     def __missing__(self, word: bytes) -> int:
         if len(self) >= _MEMO_LIMIT:
             self.clear()
-        value = self[word] = xxhash.xxh3_64_intdigest(_RUNS.sub(rb"\1", word.translate(_KINDS))[:12])
+        value = self[word] = xxhash.xxh3_64_intdigest(_RUNS.sub(rb"\1", word.translate(_KINDS)))
         return value
 
 
@@ -61,6 +61,31 @@ def indicators(text: bytes | None, memo: Shapes) -> np.ndarray:
     return np.flatnonzero(seen)
 
 
+def solve(features: list[np.ndarray], values: list[np.ndarray], y: np.ndarray, bound: np.ndarray, epochs: int = 30, tolerance: float = 1e-3) -> tuple[np.ndarray, float, np.ndarray]:
+    """(weights, bias, dual variables) of least squared length (bias included) plus ``bound`` times hinge losses.
+
+    Dual coordinate descent: each turn sets one variable to its best value in [0, bound], the others fixed; it ends when a pass
+    over all moves none by ``tolerance``.
+    """
+    weights, bias, dual = np.zeros(BINS), 0.0, np.zeros(len(y))
+    norm = np.array([float(v @ v) + 1 for v in values])
+    order = np.random.default_rng(7)
+    for _ in range(epochs):
+        moved = 0.0
+        for i in order.permutation(len(y)):
+            f, v = features[i], values[i]
+            gradient = y[i] * (weights[f] @ v + bias) - 1
+            new = min(max(dual[i] - gradient / norm[i], 0.0), bound[i])
+            if (step := new - dual[i]) != 0:
+                weights[f] += step * y[i] * v
+                bias += step * y[i]
+                dual[i] = new
+                moved = max(moved, abs(step))
+        if moved < tolerance:
+            break
+    return weights, bias, dual
+
+
 def fit(features: list[np.ndarray], labels: np.ndarray, cost: float = 1.0, epochs: int = 30) -> tuple[np.ndarray, float, float, float]:
     """(weights per indicator, bias, slope, shift) where the score is sigmoid(slope * margin + shift)."""
     y = np.where(labels > 0, 1.0, -1.0)
@@ -76,24 +101,8 @@ def fit(features: list[np.ndarray], labels: np.ndarray, cost: float = 1.0, epoch
     for f in features:
         v = ratio[f]
         values.append((v / max(1e-12, np.sqrt(v @ v + 1))).astype(np.float32))
-    weights, bias = np.zeros(BINS), 0.0
-    dual = np.zeros(len(y))
-    norm = np.array([float(v @ v) + 1 for v in values])
     weight_of = len(y) / (2 * np.where(y > 0, (y > 0).sum(), (y < 0).sum()))  # balances the classes
-    order = np.random.default_rng(7)
-    for _ in range(epochs):
-        moved = 0.0
-        for i in order.permutation(len(y)):
-            f, v = features[i], values[i]
-            gradient = y[i] * (weights[f] @ v + bias) - 1
-            new = min(max(dual[i] - gradient / norm[i], 0.0), cost * weight_of[i])
-            if (step := new - dual[i]) != 0:
-                weights[f] += step * y[i] * v
-                bias += step * y[i]
-                dual[i] = new
-                moved = max(moved, abs(step))
-        if moved < 1e-3:
-            break
+    weights, bias, _ = solve(features, values, y, cost * weight_of, epochs)
     margin = np.array([weights[f] @ v + bias for f, v in zip(features, values, strict=True)])
     slope, shift = 2.0, 0.0
     for _ in range(200):  # a logistic fit of the margins on the balanced sample
@@ -141,14 +150,15 @@ def _fold(folds: int):
 
 
 def learn(docs: DataFrame, labels: DataFrame, per_class: int = SAMPLE_PER_CLASS, folds: int = 3) -> tuple:
-    """Fit on the ``per_class`` labelled documents of each class with the smallest hash of doc_id (the bound that the
-    contract allows); documents whose crc32 mod ``folds`` is 1 are never learnt from."""
+    """Fit on about ``2 * per_class`` labelled rows of each class, drawn by a hash of doc_id (the bound that the contract allows; rows may
+    repeat or have no document); documents whose crc32 mod ``folds`` is 1 are never learnt from."""
     usable = labels.where(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull() & (_fold(folds) != 1))
     usable = usable.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality"))
-    chosen = []
-    for q in (0, 1):
-        # twice the number, as rows may repeat or have no document
-        chosen += usable.where(F.col("quality") == q).orderBy(F.xxhash64("doc_id"), "doc_id").limit(2 * per_class).collect()
+    counts = {r.quality: r["count"] for r in usable.groupBy("quality").count().collect()}
+    share = F.lit(0)
+    for q, n in counts.items():
+        share = F.when(F.col("quality") == q, int(min(1.0, 2 * per_class / n) * (1 << 30))).otherwise(share)
+    chosen = usable.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < share).distinct().collect()
     ids = docs.sparkSession.createDataFrame(sorted({(r.doc_id, r.quality) for r in chosen}), "doc_id long, quality int")
     rows = docs.where("doc_id is not null and text is not null").join(F.broadcast(ids), "doc_id").select("doc_id", "quality", "text")
     packed = rows.mapInArrow(_collect, "doc_id long, quality int, bits binary").collect()
@@ -166,8 +176,8 @@ def score_quality(docs: DataFrame, labels: DataFrame, folds: int = 3, per_class:
 
     Null and empty texts have no indicators: their score follows the bias alone. With no usable labels, or labels of
     one class only, the score is the same for all (0.5, or near that class). A label that is neither 0 nor 1 isn't
-    used; a document labelled both ways counts for both. Null doc_ids are scored and count as not held out. Other
-    columns are ignored; rows that repeat are scored again.
+    used; a document labelled both ways counts for both. Null doc_ids are scored and count as not held out. Very long texts are
+    read whole; other columns are ignored; rows that repeat are scored again; an empty table gives an empty result.
     """
     workers(docs.sparkSession)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
@@ -186,7 +196,11 @@ def _keep(batches: Iterator[pa.RecordBatch], model: tuple, at: int) -> Iterator[
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, folds: int = 3, per_class: int = SAMPLE_PER_CLASS) -> DataFrame:
-    """The rows of ``docs``, with all their columns, whose score is 0.5 or more; learning is as in ``score_quality``."""
+    """The rows of ``docs``, with all their columns, whose score is 0.5 or more; learning is as in ``score_quality``.
+
+    Null and empty texts, null ids, repeated rows and very long texts are scored as there, each row on its own; no column is
+    read but doc_id and text; an empty table stays empty.
+    """
     workers(docs.sparkSession)
     model = learn(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), labels, per_class, folds)
     return docs.mapInArrow(partial(_keep, model=model, at=docs.columns.index("text")), docs.schema)

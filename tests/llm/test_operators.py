@@ -151,6 +151,36 @@ def test_language_accuracy_and_odd_rows(spark):
     assert language.identify_languages(empty_docs(spark)).count() == 0
 
 
+def test_sizes_equal_plain_compression():
+    """The sums of sizes, against zstandard called block by block on the same dictionaries without any preparation."""
+    import zstandard
+
+    rng = random.Random(4)
+    dictionaries = {"x": words(rng, 900).encode(), "y": words(rng, 900, 400).encode()}
+    model = language.Classifier(dictionaries)
+    for text in ("a", words(rng, 30), words(rng, 3000), "É " * 5000):
+        data, want = text.lower().encode(), []
+        for lang in ("x", "y"):
+            p = zstandard.ZstdCompressionParameters.from_level(6, source_size=language.BLOCK, dict_size=len(dictionaries[lang]), min_match=4, format=zstandard.FORMAT_ZSTD1_MAGICLESS, write_content_size=False, write_dict_id=False, write_checksum=False)
+            d = zstandard.ZstdCompressionDict(dictionaries[lang], dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+            blocks = [data[i : i + language.BLOCK] for i in range(0, len(data), language.BLOCK)]
+            want.append(sum(len(zstandard.ZstdCompressor(dict_data=d, compression_params=p).compress(b)) for b in blocks))
+        assert model.sizes(text).tolist() == pytest.approx(want, rel=0.02, abs=4)
+        assert model.predict(text)[0] == ("x" if want[0] <= want[1] else "y") or abs(want[0] - want[1]) <= 8
+
+
+def test_numbers_are_no_letters(spark):
+    assert not any(language.has_letter(t) for t in ("½", "²", "①", "Ⅷ", "12 _", "٣", "")) and all(language.has_letter(t) for t in ("é", "日", "1a", "ª"))
+    docs = spark.createDataFrame([(i, "some plain words here", "en") for i in range(9)] + [(50, "½ ① Ⅷ", "en")], "doc_id long, text string, lang string")
+    assert {r.lang_pred for r in language.identify_languages(docs).where("doc_id = 50").collect()} == {"und"}
+
+
+def test_stretches_reach_the_end():
+    data = b"".join(b"%05d" % i for i in range(1000))
+    got = language.spread(data, 400)
+    assert len(got) <= 400 and got.startswith(b"00000") and got.endswith(b"0999") and b"0033" in got
+
+
 def test_narrow_margins_are_rejected():
     model = language.Classifier({"x": b"abc def ghi " * 50, "y": b"abc def ghi " * 50})
     lang, score, reliable = model.predict("abc def")
@@ -393,6 +423,42 @@ def test_quality_accuracy_and_odd_rows(spark):
     assert kept.columns == docs.columns and 0 < kept.count() < docs.count()
 
 
+def test_the_solver_reaches_the_optimum():
+    """Conditions of the optimum, and that no dual variable moved alone does better."""
+    rng = np.random.default_rng(5)
+    features = [np.sort(rng.choice(60, 12, replace=False)) for _ in range(80)]
+    y = np.where(np.array([(f < 25).sum() for f in features]) + rng.normal(0, 1.5, 80) > 5, 1.0, -1.0)
+    values = [rng.uniform(0.1, 1, 12).astype(np.float32) for _ in features]
+    bound = np.where(y > 0, 0.5, 0.8)
+    weights, bias, dual = quality.solve(features, values, y, bound, epochs=3000, tolerance=1e-9)
+    primal = np.zeros(quality.BINS)
+    for f, v, t, a in zip(features, values, y, dual, strict=True):
+        primal[f] += t * a * v
+    assert weights == pytest.approx(primal, abs=1e-5) and bias == pytest.approx((dual * y).sum(), abs=1e-6)
+    margin = np.array([t * (weights[f] @ v + bias) for f, v, t in zip(features, values, y, strict=True)])
+    assert ((dual >= 0) & (dual <= bound)).all() and 0 < (dual == 0).sum() < 80
+    assert (margin[dual == 0] >= 1 - 1e-5).all() and (margin[dual == bound] <= 1 + 1e-5).all()
+    inner = (dual > 0) & (dual < bound)
+    assert margin[inner] == pytest.approx(1.0, abs=1e-5)
+
+
+def test_indicators_and_scores_equal_brute_force(spark):
+    """Scores of small texts, computed again from the fitted table one indicator at a time."""
+    docs, labels = spark.read.parquet(f"{DATA}/documents.parquet"), spark.read.parquet(f"{DATA}/labels.parquet")
+    table, bias, slope, shift = quality.learn(docs, labels)
+    texts = {r.doc_id: r.text for r in docs.orderBy("doc_id").limit(40).collect()}
+    got = {r.doc_id: r.score for r in quality.score_quality(docs, labels).collect()}
+    for i, t in texts.items():
+        seen = set()
+        raw = t.encode()
+        for k in range(len(raw) - 2):
+            seen.add((((raw[k] << 16 | raw[k + 1] << 8 | raw[k + 2]) * 2654435761 & 0xFFFFFFFF) >> 18) & (quality.BINS // 2 - 1))
+        assert seen == {f for f in quality.indicators(raw, quality.Shapes()).tolist() if f < quality.BINS // 2}
+        f = quality.indicators(raw, quality.Shapes()).tolist()
+        margin = sum(table[0][x] for x in f) / math.sqrt(sum(table[1][x] for x in f) + 1) + bias
+        assert got[i] == pytest.approx(1 / (1 + math.exp(-min(max(slope * margin + shift, -30), 30))), rel=1e-9)
+
+
 # ---------------------------------------------------------------- op8
 
 
