@@ -21,6 +21,7 @@ from collections.abc import Iterator
 from functools import partial
 
 import ahocorasick
+import numpy as np
 import pyarrow as pa
 import sentencepiece
 from pyspark.sql import DataFrame
@@ -213,7 +214,7 @@ def _round_trip(batches: Iterator[pa.RecordBatch], path: str, with_ids: bool) ->
             digests.append(hashlib.sha256(ids.encode()).hexdigest())
             decoded.append(hashlib.sha256(back.encode()).hexdigest())
             if with_ids:
-                lists.append([int(i) for i in ids.split(",")] if ids else [])
+                lists.append(np.fromstring(ids, np.int32, sep=","))
                 texts.append(back)
         columns = [batch.column(0), pa.array(counts, pa.int64()), pa.array(digests, pa.string()), pa.array(decoded, pa.string())]
         names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
@@ -229,7 +230,7 @@ def encode_and_decode(docs: DataFrame, model_path: str, with_ids: bool = False)
     Returns doc_id, n_tokens, SHA-256 of the ids and of the decoded text; with ``with_ids`` also ids and the decoded
     text. A null text counts as empty: no ids, empty decoding. Each row stands alone: repeated rows and null
     doc_ids pass through, other columns are ignored, an empty table gives an empty result. The model file must be
-    readable on every worker (it belongs to an installed package).
+    readable on every worker (it belongs to an installed package). Very long texts are encoded whole, unit by unit.
     """
     workers(docs.sparkSession)
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>, decoded string" * with_ids
