@@ -41,8 +41,8 @@ def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """doc_id, ids and their digests, and the decoded text's digest."""
-    return pieces.encode_and_decode(docs, PIECE_MODEL)
+    """doc_id, n_tokens, the digests of ids and decoded text, and the ids; a null text counts as empty, so it has no ids."""
+    return pieces.encode_and_decode(docs, PIECE_MODEL, with_ids=True).drop("decoded")
 
 
 def _counted(docs: DataFrame, changed: DataFrame) -> DataFrame:
