@@ -1,4 +1,10 @@
-"""Diffusion of each seed in one NumPy worker, for seeds whose explored ball is small."""
+"""Diffusion of each seed in one NumPy worker over the neighbourhood that it has explored.
+
+A seed's rounds run in its worker until a node must move whose adjacency isn't there; the worker then names that node, and those
+that may soon move. The named nodes' adjacency is fetched for all seeds in one join, and the seeds go on. So there are as many
+jobs as fetches, not as rounds, and of the graph only the buckets of explored nodes are read. A seed that
+explores more than ``MOST_EDGES`` edges goes to the engine of ``diffusion`` that keeps its state in tables.
+"""
 
 from __future__ import annotations
 
@@ -9,26 +15,36 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from attrgraph.operators.diffusion import ALPHA, settings
-from attrgraph.operators.graph import Graph, within_hops
+from attrgraph.operators.graph import BROADCAST_BYTES, ROW_BYTES, Graph
 from attrgraph.session import materialise, workers
 
-MOST_EDGES = 1_000_000
+MOST_EDGES = 2_000_000
+#: Nodes are fetched ahead when they have this share of what makes them hot.
+AHEAD = 0.25
+_DONE, _WANTED, _LARGE = 0, 1, 2
+_ROWS = "seed_id {0}, node_id {1}, deg double, residual double, reserve double, eps double, budget double, spent double, kind int"
+
+
+def _joined(column: pd.Series, kind: type) -> np.ndarray:
+    return np.concatenate([np.asarray(x, kind) for x in column]) if len(column) else np.empty(0, kind)
 
 
-def _run(key: tuple, edges: pd.DataFrame, start: pd.DataFrame, alpha: float, eps: float, sigma: float, cap: float | None) -> pd.DataFrame:
-    nodes, place = np.unique(np.concatenate([edges["src"].to_numpy(), edges["dst"].to_numpy()]), return_inverse=True)
-    src, dst = place[: len(edges)], place[len(edges) :]
-    deg = np.zeros(len(nodes))
-    deg[src], deg[dst] = edges["src_deg"], edges["dst_deg"]
-    share = (edges["w"] / edges["src_deg"]).to_numpy()
-    inner = np.zeros(len(nodes), bool)
-    inner[src] = True
-    r, kept, spent = np.zeros(len(nodes)), np.zeros(len(nodes)), 0.0
-    at = np.searchsorted(nodes, start["node_id"].to_numpy())
-    known = (at < len(nodes)) & (nodes[np.minimum(at, len(nodes) - 1)] == start["node_id"].to_numpy())
-    np.add.at(r, at[known], start["mass"].to_numpy()[known])
-    budget = cap if cap is not None else start["mass"].sum() / ((1 - alpha) * eps)
+def _run(near: pd.DataFrame, start: pd.DataFrame, alpha: float, sigma: float, most_edges: int) -> pd.DataFrame:
+    """One seed's rounds; its state, or the nodes that it lacks."""
+    eps, budget = float(start["eps"].iloc[0]), float(start["budget"].iloc[0])
+    own, to, share, to_deg = start["node_id"].to_numpy(), _joined(near["dst"], start["node_id"].dtype), _joined(near["p"], float), _joined(near["d"], float)
+    sizes = np.array([len(x) for x in near["dst"]], np.int64)
+    nodes, place = np.unique(np.concatenate([own, near["node_id"].to_numpy(own.dtype), to]), return_inverse=True)
+    n = len(nodes)
+    first, held, dst = place[: len(own)], place[len(own) : len(own) + len(near)], place[len(own) + len(near) :]
+    src = np.repeat(held, sizes)
+    deg = np.zeros(n)
+    deg[dst], deg[first] = to_deg, start["deg"]
+    inner = np.zeros(n, bool)
+    inner[held] = True
+    r, kept, spent = np.zeros(n), np.zeros(n), 0.0
+    r[first] = start["residual"]
+    kind, told = _DONE, None
     while True:
         some = r > 0
         active = some & (r >= eps * deg)
@@ -36,40 +52,58 @@ def _run(key: tuple, edges: pd.DataFrame, start: pd.DataFrame, alpha: float, eps
             break
         volume = deg[some].sum()
         if active.sum() / some.sum() > sigma and spent + volume < budget:
-            active, spent = some, spent + volume
+            active, now = some, spent + volume
+        else:
+            now = spent
         if (active & ~inner).any():
-            raise ValueError(f"the ball of seed {key[0]} is too small: take more hops or the other engines")
+            told = ~inner & (active | (r >= AHEAD * eps * deg) & some)
+            kind = _WANTED if len(to) + deg[told].sum() <= most_edges or len(to) == 0 else _LARGE
+            break
+        spent = now
         moved = np.where(active, r, 0.0)
         kept += (1 - alpha) * moved
-        r -= moved
-        np.add.at(r, dst, alpha * moved[src] * share)
-    held = (kept > 0) | (r > 0)
-    return pd.DataFrame({"seed_id": key[0], "node_id": nodes[held], "deg": deg[held], "residual": r[held], "reserve": kept[held]})
+        r = r - moved + np.bincount(dst, alpha * moved[src] * share, n)
+    if told is None:
+        told = (kept > 0) | (r > 0)
+    return pd.DataFrame({"node_id": nodes[told], "deg": deg[told], "residual": r[told], "reserve": kept[told], "eps": eps, "budget": budget, "spent": spent, "kind": kind})
 
 
-def diffuse_in_balls(g: Graph, start: DataFrame, alpha: float = ALPHA, eps: float = 1e-3, strategy: str = "threshold", sigma: float = 0.1, hops: int = 6, most_edges: int = MOST_EDGES) -> DataFrame:
-    """The same result as ``diffusion.diffuse``, with each seed's ball of ``hops`` steps gathered into one task.
+def diffuse_in_balls(g: Graph, state: DataFrame, alpha: float, sigma: float, most_edges: int | None = None) -> DataFrame:
+    """The state of ``diffusion.diffuse`` after its last round, from a written state before its first."""
+    from attrgraph.operators import diffusion
 
-    The edges of every ball are counted before any is gathered: one over ``most_edges`` raises, and so does mass that must
-    move on beyond its ball. Null results never stand for either.
-    """
-    workers(start.sparkSession)
-    sigma, cap = settings(strategy, sigma)
-    given = materialise(start.groupBy("seed_id", "node_id").agg(F.sum("mass").alias("mass")), "start")
-    ball = given.select("seed_id", "node_id", F.lit(0).alias("hop"))
-    near = given.select(F.col("node_id").alias("seed_id")).distinct()
-    reach = within_hops(g, near, hops).select(F.col("seed_id").alias("from"), "node_id")
-    ball = ball.select("seed_id", F.col("node_id").alias("from")).join(reach, "from").select("seed_id", F.col("node_id").alias("src")).distinct()
-    edges = materialise(ball.join(g.edges, "src").select("seed_id", "src", "dst", "w", "src_deg", "dst_deg"), "balls")
-    most = edges.groupBy("seed_id").count().agg(F.max("count")).first()[0] or 0
-    if most > most_edges:
-        raise ValueError(f"a ball has {most} edges, more than {most_edges}")
-    run = partial(_run, alpha=alpha, eps=eps, sigma=sigma, cap=cap)
-    pairs = edges.groupBy("seed_id").cogroup(given.groupBy("seed_id"))
+    spark = workers(state.sparkSession)
+    limit = MOST_EDGES if most_edges is None else most_edges
+    kinds = dict(state.dtypes)
+    schema = _ROWS.format(kinds["seed_id"], kinds["node_id"])
+    empty = pd.DataFrame({"node_id": pd.Series([], dtype=object), "dst": [], "p": [], "d": []})
+    run = partial(_run, alpha=alpha, sigma=sigma, most_edges=limit)
 
-    def gathered(key: tuple, e: pd.DataFrame, s: pd.DataFrame) -> pd.DataFrame:
-        if len(e) and len(s):
-            return run(key, e, s)
-        return pd.DataFrame({"seed_id": [], "node_id": [], "deg": [], "residual": [], "reserve": []}).astype({"seed_id": "int64", "node_id": "int64"})
+    def gathered(key: tuple, near: pd.DataFrame, start: pd.DataFrame) -> pd.DataFrame:
+        if not len(start):
+            return pd.DataFrame({c.split()[0]: [] for c in schema.split(", ")})
+        out = run(near if len(near) else empty, start)
+        out.insert(0, "seed_id", key[0])
+        return out
 
-    return pairs.applyInPandas(gathered, "seed_id long, node_id long, deg double, residual double, reserve double")
+    wanted = state.where((F.col("residual") > 0) & (F.col("residual") >= AHEAD * F.col("eps") * F.col("deg"))).select("seed_id", "node_id")
+    open_seeds, near, out = state, None, None
+    while True:
+        wanted = materialise(wanted, "wanted")
+        nodes = materialise(wanted.select("node_id").distinct(), "nodes")
+        rows = g.packed.of(nodes).select("node_id", F.col("nb.dst").alias("dst"), F.col("nb.p").alias("p"), F.col("nb.deg").alias("d"))
+        small = wanted.count() * ROW_BYTES <= BROADCAST_BYTES
+        fetched = materialise(rows.join(F.broadcast(wanted) if small else wanted, "node_id").select("seed_id", "node_id", "dst", "p", "d"), "near")
+        near = fetched if near is None else near.union(fetched)
+        told = materialise(near.groupBy("seed_id").cogroup(open_seeds.groupBy("seed_id")).applyInPandas(gathered, schema), "told")
+        done = told.where(F.col("kind") == _DONE).drop("kind")
+        out = done if out is None else out.union(done)
+        kinds_left = {r.kind for r in told.where(F.col("kind") != _DONE).select("kind").distinct().collect()}
+        if _LARGE in kinds_left:
+            large = told.where(F.col("kind") == _LARGE).select("seed_id").distinct()
+            out = out.union(diffusion.run_rounds(g, materialise(state.join(large, "seed_id", "left_semi"), "state"), alpha, sigma))
+        if _WANTED not in kinds_left:
+            return out.select(*diffusion.STATE)
+        wanted = told.where(F.col("kind") == _WANTED).select("seed_id", "node_id")
+        going = wanted.select("seed_id").distinct()
+        open_seeds, near = state.join(going, "seed_id", "left_semi"), near.join(going, "seed_id", "left_semi")

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from attrgraph.functions import vec_dot
 from attrgraph.operators.diffusion import ALPHA, diffuse, scores, start_unit
 from attrgraph.operators.graph import Graph
-from attrgraph.session import materialise
+from attrgraph.session import materialise, written
 
 
 def seed_profile(pi: DataFrame, factors: DataFrame) -> DataFrame:
@@ -45,19 +45,20 @@ def lift_identity(pi: DataFrame) -> DataFrame:
 
 def local_affinity(
     g: Graph, factors: DataFrame | None, seeds: DataFrame, alpha: float = ALPHA, eps: float = 1e-4, sigma: float = 0.1,
-    strategy: str = "hybrid", scope: str = "explored", step: int = 4,
+    strategy: str = "hybrid", scope: str = "explored", engine: str = "auto",
 ) -> DataFrame:
     """(seed_id, node_id, score): two-sided affinity of seeds with the nodes around them, for all seeds in one job.
 
-    ``factors=None`` leaves attributes out. Rounds are bounded by eps and alpha, never by the graph.
+    ``factors=None`` leaves attributes out. Rounds are bounded by eps and alpha, never by the graph. A kept graph and written
+    factors are used as they are, so what they cost is paid once for all calls.
     """
     g = g.kept()
-    options = {"alpha": alpha, "sigma": sigma, "strategy": strategy, "step": step}
+    options = {"alpha": alpha, "sigma": sigma, "strategy": strategy, "engine": engine}
     pi = materialise(scores(diffuse(g, start_unit(seeds), eps=eps, **options)), "pi")
     if factors is None:
         phi = lift_identity(pi)
     else:
-        factors = materialise(factors, "factors")
+        factors = written(factors, "factors")
         phi = lift(pi, materialise(seed_profile(pi, factors), "psi"), factors, g, scope)
     rho = scores(diffuse(g, materialise(phi, "phi"), eps=eps, relative_eps=True, **options))
     return rho.select("seed_id", "node_id", (F.col("score") / F.col("deg")).alias("score"))

@@ -1,8 +1,7 @@
 """Local mass diffusion: threshold push, full sweep, and the hybrid that chooses per seed and round.
 
 State rows are (seed_id, node_id, deg, residual, reserve) with the seed's settings beside them; a node without a
-row has nothing. One round takes one window over the seed (what is hot, what is it worth), one join with the packed
-adjacency, and one sum by (seed, node):
+row has nothing. In a round,
 
 * a row is *hot* when residual >= eps * degree;
 * *threshold push* moves the hot rows, a *sweep* moves every row with residual; moving keeps 1 - alpha of the residual and
@@ -10,8 +9,14 @@ adjacency, and one sum by (seed, node):
 * *hybrid* sweeps when the hot share of rows with residual is over sigma and what sweeps have cost so far, with this
   one, stays under mass / ((1 - alpha) * eps).
 
-``alpha`` is the probability of moving on. Each round refers to the state once, so rounds can be chained in one plan
-(``engine='unrolled'``); the ``driver`` engine writes the state every ``step`` rounds and stops when nothing is hot.
+``alpha`` is the probability of moving on. Three engines give the same result:
+
+* ``local``: a seed's explored neighbourhood is gathered in one NumPy worker (see ``ball``), for seeds whose bound is small;
+* ``rounds``: each round is one job over all seeds. What a seed's round does comes from partial sums a seed; only
+  moving rows meet the packed adjacency, whose other buckets aren't read;
+* ``unrolled``: a fixed number of rounds in one plan, by a window over the seed.
+
+``auto`` takes ``local`` where 2 mass / ((1 - alpha) eps), or the whole graph, is under ``ball.MOST_EDGES`` edges.
 """
 
 from __future__ import annotations
@@ -19,7 +24,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from attrgraph.operators.graph import Graph, adjacency
+from attrgraph.operators.graph import BROADCAST_BYTES, ROW_BYTES, Graph, Packed, adjacency
 from attrgraph.session import discard, materialise
 
 ALPHA = 0.8
@@ -50,7 +55,7 @@ def initial(g: Graph, start: DataFrame, alpha: float, eps: float | str, relative
 
 
 def advance(state: DataFrame, packed: DataFrame, alpha: float, sigma: float) -> DataFrame:
-    """One round."""
+    """One round in one plan that refers to the state once."""
     seed = Window.partitionBy("seed_id")
     hot = F.col("residual") >= F.col("eps") * F.col("deg")
     some = F.col("residual") > 0
@@ -92,38 +97,82 @@ def settings(strategy: str, sigma: float) -> tuple[float, float | None]:
     raise ValueError(f"no strategy {strategy}")
 
 
+def advance_kept(state: DataFrame, packed: Packed, alpha: float, sigma: float) -> DataFrame | None:
+    """One round from a written state to a written state; None when nothing is hot.
+
+    A row a seed comes from partial sums; it is joined back, broadcast where the counted seeds are few.
+    """
+    some = F.col("residual") > 0
+    hot = some & (F.col("residual") >= F.col("eps") * F.col("deg"))
+    per = state.groupBy("seed_id").agg(
+        F.sum(hot.cast("long")).alias("n_hot"), F.sum(some.cast("long")).alias("n_some"), F.sum(F.when(some, F.col("deg")).otherwise(0.0)).alias("vol"),
+        F.max("spent").alias("spent"), F.max("budget").alias("budget"),
+    )
+    sweep = (F.col("n_hot") > 0) & (F.col("n_hot") / F.col("n_some") > sigma) & (F.col("spent") + F.col("vol") < F.col("budget"))
+    per = per.withColumn("sweep", sweep).select("seed_id", "sweep", (F.col("spent") + F.when(sweep, F.col("vol")).otherwise(0.0)).alias("spent_now"), F.when(sweep, F.col("n_some")).otherwise(F.col("n_hot")).alias("n"))
+    per = materialise(per, "seeds")
+    total = per.agg(F.sum("n").alias("n"), F.count("*").alias("seeds")).first()
+    if not total.n:
+        discard(per)
+        return None
+    few = total.seeds * ROW_BYTES <= BROADCAST_BYTES
+    told = state.join(F.broadcast(per) if few else per, "seed_id")
+    active = hot | (F.col("sweep") & some)
+    moving = materialise(told.where(active).select("seed_id", "node_id", "residual", "eps", "budget", "spent_now"), "moving")
+    near = packed.of(moving.select("node_id").distinct())
+    small = total.n * ROW_BYTES <= BROADCAST_BYTES
+    out = near.join(F.broadcast(moving) if small else moving, "node_id").select("seed_id", "eps", "budget", F.col("spent_now").alias("spent"), "residual", F.explode("nb").alias("to"))
+    sent = out.select("seed_id", F.col("to.dst").alias("node_id"), F.col("to.deg").alias("deg"), (F.lit(alpha) * F.col("residual") * F.col("to.p")).alias("residual"), F.lit(0.0).alias("reserve"), "eps", "budget", "spent")
+    own = told.select("seed_id", "node_id", "deg", F.when(active, 0.0).otherwise(F.col("residual")).alias("residual"), (F.col("reserve") + F.when(active, (1 - alpha) * F.col("residual")).otherwise(0.0)).alias("reserve"), "eps", "budget", F.col("spent_now").alias("spent"))
+    both = own.union(sent).groupBy("seed_id", "node_id").agg(*[(F.sum if c in ("residual", "reserve") else F.max)(c).alias(c) for c in STATE[2:]])
+    after = materialise(both, "state")
+    for done in (per, moving):
+        discard(done)
+    return after
+
+
 def diffuse(
     g: Graph, start: DataFrame, alpha: float = ALPHA, eps: float | str = 1e-3, strategy: str = "hybrid", sigma: float = 0.1,
-    relative_eps: bool = False, engine: str = "driver", rounds: int = 60, step: int = 4, trace: list | None = None,
+    relative_eps: bool = False, engine: str = "auto", rounds: int = 60, trace: list | None = None,
 ) -> DataFrame:
     """(seed_id, node_id, deg, residual, reserve, eps, budget, spent) after the last round.
 
     Reserve is the diffused mass: 0 <= exact - reserve <= eps * deg at every node. Start rows whose node isn't in
-    the graph are left out (a seed without edges has no walk). ``driver`` runs until no row is hot; ``unrolled``
-    chains exactly ``rounds`` rounds, of which those past the end change nothing. With ``trace`` (driver engine), a dict
+    the graph are left out (a seed without edges has no walk). All engines but ``unrolled`` run until no row is hot; that one
+    chains exactly ``rounds`` rounds, of which those past the end change nothing. With ``trace`` (rounds engine), a dict
     for each seed and round is appended to the list; that is a row per seed on the driver, in batches of seeds.
     """
     sigma, cap = settings(strategy, sigma)
-    packed = adjacency(g)
-    state = initial(g, start, alpha, eps, relative_eps, cap)
     if engine == "unrolled":
+        packed, state = adjacency(g), initial(g, start, alpha, eps, relative_eps, cap)
         for _ in range(rounds):
             state = advance(state, packed, alpha, sigma)
         return state
-    packed, state = materialise(packed, "adjacency"), materialise(state, "state")
+    g = g.kept()
+    state = materialise(initial(g, start, alpha, eps, relative_eps, cap), "state")
+    if engine == "auto":
+        from attrgraph.operators.ball import MOST_EDGES
+
+        most = state.agg(F.max("budget")).first()[0] or 0.0
+        engine = "local" if trace is None and min(2 * most, g.size) <= MOST_EDGES else "rounds"
+    if engine == "local":
+        from attrgraph.operators.ball import diffuse_in_balls
+
+        return diffuse_in_balls(g, state, alpha, sigma)
+    return run_rounds(g, state, alpha, sigma, trace)
+
+
+def run_rounds(g: Graph, state: DataFrame, alpha: float, sigma: float, trace: list | None = None) -> DataFrame:
+    """Rounds from a written state until nothing is hot, each one job."""
     done = 0
     while True:
         if trace is not None:
             trace += _told(state, done + 1, sigma)
-        if state.where("residual > 0 and residual >= eps * deg").isEmpty():
+        after = advance_kept(state, g.packed, alpha, sigma)
+        if after is None:
             return state
-        after = state
-        for _ in range(1 if trace is not None else step):
-            after = advance(after, packed, alpha, sigma)
-            done += 1
-        after = materialise(after, "state")
         discard(state)
-        state = after
+        state, done = after, done + 1
 
 
 def _told(state: DataFrame, number: int, sigma: float) -> list[dict]:

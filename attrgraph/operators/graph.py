@@ -2,29 +2,90 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from attrgraph.session import discard, materialise
+from attrgraph.session import discard, fresh_path, materialise
 
 EDGE_COLUMNS = ["src", "dst", "w", "src_deg", "dst_deg"]
+#: What may be broadcast, by counted rows and the bytes that each takes.
+BROADCAST_BYTES, ROW_BYTES = 64 << 20, 48
+EDGES_PER_BUCKET, LEAST_BUCKETS, MOST_BUCKETS = 4_000_000, 16, 4096
 
 
-@dataclass(frozen=True)
+@dataclass
+class Packed:
+    """A written adjacency, (node_id, chunk, nb) by bucket of the node, so that a frontier's reads touch its buckets alone.
+
+    ``log`` has a row for each read: nodes asked for, buckets read, whether the nodes were broadcast.
+    """
+
+    rows: DataFrame
+    buckets: int
+    log: list[dict] = field(default_factory=list)
+
+    def of(self, nodes: DataFrame) -> DataFrame:
+        """Adjacency rows of the distinct ``nodes`` (node_id), which should be written: they are counted by bucket first."""
+        keyed = nodes.select("node_id", _bucket("node_id", self.buckets).alias("bucket"))
+        touched = [(r.bucket, r.n) for r in keyed.groupBy("bucket").agg(F.count("*").alias("n")).collect()]
+        n = sum(c for _, c in touched)
+        small = n * ROW_BYTES <= BROADCAST_BYTES
+        self.log.append({"nodes": n, "buckets": len(touched), "broadcast": small})
+        rows = self.rows.where(F.col("bucket").isin(sorted(b for b, _ in touched))) if len(touched) < self.buckets else self.rows
+        keys = nodes.select("node_id")
+        return rows.join(F.broadcast(keys) if small else keys, "node_id", "left_semi")
+
+
+def _bucket(node: str, buckets: int):
+    return F.pmod(F.xxhash64(node), F.lit(buckets)).cast("int")
+
+
+@dataclass
 class Graph:
-    """edges(src, dst, w, src_deg, dst_deg), both directions of each undirected edge."""
+    """edges(src, dst, w, src_deg, dst_deg), both directions of each undirected edge.
+
+    A ``kept`` graph is written: its edges at once, degrees and packed adjacency when first asked for. All callers share them.
+    """
 
     edges: DataFrame
+    written: bool = False
+    _parts: dict = field(default_factory=dict, repr=False, compare=False)
 
     @property
     def degrees(self) -> DataFrame:
-        return self.edges.groupBy(F.col("src").alias("node_id")).agg(F.max("src_deg").alias("deg"))
+        if "degrees" not in self._parts:
+            rows = self.edges.groupBy(F.col("src").alias("node_id")).agg(F.max("src_deg").alias("deg"))
+            if not self.written:
+                return rows
+            self._parts["degrees"] = materialise(rows, "degrees")
+        return self._parts["degrees"]
+
+    @property
+    def packed(self) -> Packed:
+        """The written adjacency of a kept graph."""
+        if "packed" not in self._parts:
+            if not self.written:
+                raise ValueError("keep the graph first")
+            spark = self.edges.sparkSession
+            buckets = min(MOST_BUCKETS, max(LEAST_BUCKETS, self.size // EDGES_PER_BUCKET))
+            path = fresh_path(spark, "adjacency")
+            rows = adjacency(self).withColumn("bucket", _bucket("node_id", buckets))
+            rows.repartition(buckets, "bucket").sortWithinPartitions("node_id").write.partitionBy("bucket").parquet(path)
+            self._parts["packed"] = Packed(spark.read.schema(rows.schema).parquet(path), buckets)
+        return self._parts["packed"]
+
+    @property
+    def size(self) -> int:
+        """Directed edges."""
+        if "size" not in self._parts:
+            self._parts["size"] = self.edges.count()
+        return self._parts["size"]
 
     def kept(self, label: str = "graph") -> Graph:
-        """The same graph with its edges written to the shared folder once."""
-        return Graph(materialise(self.edges, label))
+        """The same graph with its edges written to the shared folder once; a kept one is itself."""
+        return self if self.written else Graph(materialise(self.edges, label), True)
 
 
 def from_edges(pairs: DataFrame, src: str = "a", dst: str = "b", weight: str | None = None, min_degree: int = 1) -> Graph:

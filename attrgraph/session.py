@@ -47,7 +47,14 @@ def materialise(df: DataFrame, label: str = "step") -> DataFrame:
     spark = df.sparkSession
     path = fresh_path(spark, label)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._attrgraph_written = True
+    return out
+
+
+def written(df: DataFrame, label: str = "step") -> DataFrame:
+    """``df`` itself if ``materialise`` made it, else a written copy."""
+    return df if getattr(df, "_attrgraph_written", False) else materialise(df, label)
 
 
 def discard(df: DataFrame) -> None:

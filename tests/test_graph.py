@@ -414,16 +414,40 @@ def test_flow_query_settles(spark, small):
         flow.pnorm_flow(small[0], seeds_of(spark, 5), 2.0, mass_per_degree=10.0, rounds=2, settle=True)
 
 
-def test_diffusion_in_balls(spark, small):
-    from attrgraph.operators.ball import diffuse_in_balls
+def test_engines_agree(spark, small, monkeypatch):
+    from attrgraph.operators import ball
 
     g, *_ = small
     start = diffusion.start_unit(seeds_of(spark, 0, 7, 999))
-    for strategy, sigma in (("threshold", 0.1), ("hybrid", 0.1)):
-        one = {(r.seed_id, r.node_id): (r.reserve, r.residual) for r in diffusion.diffuse(g, start, eps=1e-2, strategy=strategy, sigma=sigma).collect()}
-        two = {(r.seed_id, r.node_id): (r.reserve, r.residual) for r in diffuse_in_balls(g, start, eps=1e-2, strategy=strategy, sigma=sigma, hops=8).collect()}
-        assert {k for k, v in one.items() if max(v) > 0} == two.keys() and all(two[k] == pytest.approx(one[k], abs=1e-12) for k in two)
-    with pytest.raises(Exception, match="too small"):
-        diffuse_in_balls(g, start, eps=1e-4, hops=1).collect()
-    with pytest.raises(ValueError, match="more than 5"):
-        diffuse_in_balls(g, start, eps=1e-2, hops=8, most_edges=5)
+    more = start.union(spark.createDataFrame([(7, 11, 2.5), (7, 3, 0.25)], "seed_id long, node_id long, mass double"))
+    for strategy, sigma, eps in (("threshold", 0.1, 1e-2), ("hybrid", 0.1, 1e-2), ("hybrid", 0.0, 1e-3), ("sweep", 0.0, 1e-2)):
+        told = []
+        for engine, most in (("rounds", None), ("local", 10**6), ("local", 40)):
+            monkeypatch.setattr(ball, "MOST_EDGES", most)
+            rows = diffusion.diffuse(g, more, eps=eps, strategy=strategy, sigma=sigma, engine=engine).collect()
+            told.append({(r.seed_id, r.node_id): (r.reserve, r.residual, r.deg, r.eps, r.budget, r.spent) for r in rows if r.reserve > 0 or r.residual > 0})
+        assert told[0].keys() == told[1].keys() == told[2].keys() and len(told[0]) > 5
+        for k, v in told[0].items():
+            assert told[1][k] == pytest.approx(v, abs=1e-12) and told[2][k] == pytest.approx(v, abs=1e-12)
+
+
+def test_work_follows_the_cluster_not_the_graph(spark):
+    """Many more edges far from the seed: as many adjacency rows are fetched, from as few buckets."""
+    from attrgraph.operators import graph as graphs
+
+    near = [(i, j) for i in range(12) for j in range(i)]
+    logs = []
+    for far in (0, 3000):
+        g = make(spark, near + [(100 + i, 101 + i) for i in range(far)] + [(100 + i, 140 + i) for i in range(far)]).kept()
+        for engine in ("local", "rounds"):
+            g.packed.log.clear()
+            state = diffusion.diffuse(g, diffusion.start_unit(seeds_of(spark, 3)), eps=1e-3, engine=engine)
+            logs.append([(x["nodes"], x["buckets"]) for x in g.packed.log] + [state.count()])
+    assert logs[0] == logs[2] and logs[1] == logs[3]
+    assert all(n <= 12 for n, _ in logs[0][:-1]) and logs[0][0] == (1, 1) and graphs.LEAST_BUCKETS > logs[0][0][1]
+
+
+def test_a_graph_is_packed_once(spark, small):
+    g, *_ = small
+    g = g.kept()
+    assert g.kept() is g and g.packed is g.packed and g.degrees is g.degrees
