@@ -8,7 +8,9 @@ explores more than ``MOST_EDGES`` edges goes to the engine of ``diffusion`` that
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import partial
+from math import exp, factorial
 
 import numpy as np
 import pandas as pd
@@ -21,63 +23,23 @@ from attrgraph.session import materialise, workers
 MOST_EDGES = 2_000_000
 #: Nodes are fetched ahead when they have this share of what makes them hot.
 AHEAD = 0.25
-_DONE, _WANTED, _LARGE = 0, 1, 2
-_ROWS = "seed_id {0}, node_id {1}, deg double, residual double, reserve double, eps double, budget double, spent double, kind int"
+DONE, WANTED, LARGE = 0, 1, 2
 
 
 def _joined(column: pd.Series, kind: type) -> np.ndarray:
     return np.concatenate([np.asarray(x, kind) for x in column]) if len(column) else np.empty(0, kind)
 
 
-def _run(near: pd.DataFrame, start: pd.DataFrame, alpha: float, sigma: float, most_edges: int) -> pd.DataFrame:
-    """One seed's rounds; its state, or the nodes that it lacks."""
-    eps, budget = float(start["eps"].iloc[0]), float(start["budget"].iloc[0])
-    own, to, share, to_deg = start["node_id"].to_numpy(), _joined(near["dst"], start["node_id"].dtype), _joined(near["p"], float), _joined(near["d"], float)
-    sizes = np.array([len(x) for x in near["dst"]], np.int64)
-    nodes, place = np.unique(np.concatenate([own, near["node_id"].to_numpy(own.dtype), to]), return_inverse=True)
-    n = len(nodes)
-    first, held, dst = place[: len(own)], place[len(own) : len(own) + len(near)], place[len(own) + len(near) :]
-    src = np.repeat(held, sizes)
-    deg = np.zeros(n)
-    deg[dst], deg[first] = to_deg, start["deg"]
-    inner = np.zeros(n, bool)
-    inner[held] = True
-    r, kept, spent = np.zeros(n), np.zeros(n), 0.0
-    r[first] = start["residual"]
-    kind, told = _DONE, None
-    while True:
-        some = r > 0
-        active = some & (r >= eps * deg)
-        if not active.any():
-            break
-        volume = deg[some].sum()
-        if active.sum() / some.sum() > sigma and spent + volume < budget:
-            active, now = some, spent + volume
-        else:
-            now = spent
-        if (active & ~inner).any():
-            told = ~inner & (active | (r >= AHEAD * eps * deg) & some)
-            kind = _WANTED if len(to) + deg[told].sum() <= most_edges or len(to) == 0 else _LARGE
-            break
-        spent = now
-        moved = np.where(active, r, 0.0)
-        kept += (1 - alpha) * moved
-        r = r - moved + np.bincount(dst, alpha * moved[src] * share, n)
-    if told is None:
-        told = (kept > 0) | (r > 0)
-    return pd.DataFrame({"node_id": nodes[told], "deg": deg[told], "residual": r[told], "reserve": kept[told], "eps": eps, "budget": budget, "spent": spent, "kind": kind})
-
+def fetching(g: Graph, state: DataFrame, wanted: DataFrame, schema: str, run: Callable[[pd.DataFrame, pd.DataFrame], pd.DataFrame]) -> tuple[DataFrame, DataFrame | None]:
+    """(results, seeds whose neighbourhood is too large or None) of ``run`` for each seed of the written ``state``.
 
-def diffuse_in_balls(g: Graph, state: DataFrame, alpha: float, sigma: float, most_edges: int | None = None) -> DataFrame:
-    """The state of ``diffusion.diffuse`` after its last round, from a written state before its first."""
-    from attrgraph.operators import diffusion
-
-    spark = workers(state.sparkSession)
-    limit = MOST_EDGES if most_edges is None else most_edges
+    ``run`` gets a seed's adjacency so far (node_id, dst, p, d) and its start rows. It returns rows of ``schema`` after seed_id, with a
+    last column kind: results, or the nodes that it lacks. Those are fetched, and the seed runs again.
+    """
+    workers(state.sparkSession)
     kinds = dict(state.dtypes)
-    schema = _ROWS.format(kinds["seed_id"], kinds["node_id"])
+    schema = f"seed_id {kinds['seed_id']}, node_id {kinds['node_id']}, {schema}, kind int"
     empty = pd.DataFrame({"node_id": pd.Series([], dtype=object), "dst": [], "p": [], "d": []})
-    run = partial(_run, alpha=alpha, sigma=sigma, most_edges=limit)
 
     def gathered(key: tuple, near: pd.DataFrame, start: pd.DataFrame) -> pd.DataFrame:
         if not len(start):
@@ -86,8 +48,7 @@ def diffuse_in_balls(g: Graph, state: DataFrame, alpha: float, sigma: float, mos
         out.insert(0, "seed_id", key[0])
         return out
 
-    wanted = state.where((F.col("residual") > 0) & (F.col("residual") >= AHEAD * F.col("eps") * F.col("deg"))).select("seed_id", "node_id")
-    open_seeds, near, out = state, None, None
+    open_seeds, near, out, large = state, None, None, None
     while True:
         wanted = materialise(wanted, "wanted")
         nodes = materialise(wanted.select("node_id").distinct(), "nodes")
@@ -96,14 +57,177 @@ def diffuse_in_balls(g: Graph, state: DataFrame, alpha: float, sigma: float, mos
         fetched = materialise(rows.join(F.broadcast(wanted) if small else wanted, "node_id").select("seed_id", "node_id", "dst", "p", "d"), "near")
         near = fetched if near is None else near.union(fetched)
         told = materialise(near.groupBy("seed_id").cogroup(open_seeds.groupBy("seed_id")).applyInPandas(gathered, schema), "told")
-        done = told.where(F.col("kind") == _DONE).drop("kind")
+        done = told.where(F.col("kind") == DONE).drop("kind")
         out = done if out is None else out.union(done)
-        kinds_left = {r.kind for r in told.where(F.col("kind") != _DONE).select("kind").distinct().collect()}
-        if _LARGE in kinds_left:
-            large = told.where(F.col("kind") == _LARGE).select("seed_id").distinct()
-            out = out.union(diffusion.run_rounds(g, materialise(state.join(large, "seed_id", "left_semi"), "state"), alpha, sigma))
-        if _WANTED not in kinds_left:
-            return out.select(*diffusion.STATE)
-        wanted = told.where(F.col("kind") == _WANTED).select("seed_id", "node_id")
+        left = {r.kind for r in told.where(F.col("kind") != DONE).select("kind").distinct().collect()}
+        if LARGE in left:
+            more = told.where(F.col("kind") == LARGE).select("seed_id").distinct()
+            large = more if large is None else large.union(more)
+        if WANTED not in left:
+            return out, large
+        wanted = told.where(F.col("kind") == WANTED).select("seed_id", "node_id")
         going = wanted.select("seed_id").distinct()
         open_seeds, near = state.join(going, "seed_id", "left_semi"), near.join(going, "seed_id", "left_semi")
+
+
+class Neighbourhood:
+    """A seed's fetched adjacency and start in dense numbers: ``nodes`` by number, edges ``src`` to ``dst`` with ``share`` = w / degree of
+    src, degrees, which nodes' edges are here (``inner``), and the numbers of the start rows (``first``)."""
+
+    def __init__(self, near: pd.DataFrame, start: pd.DataFrame):
+        own = start["node_id"].to_numpy()
+        to, self.share, to_deg = _joined(near["dst"], own.dtype), _joined(near["p"], float), _joined(near["d"], float)
+        sizes = np.array([len(x) for x in near["dst"]], np.int64)
+        self.nodes, place = np.unique(np.concatenate([own, near["node_id"].to_numpy(own.dtype), to]), return_inverse=True)
+        self.n = len(self.nodes)
+        self.first, held, self.dst = place[: len(own)], place[len(own) : len(own) + len(near)], place[len(own) + len(near) :]
+        self.src = np.repeat(held, sizes)
+        self.deg = np.zeros(self.n)
+        self.deg[self.dst], self.deg[self.first] = to_deg, start["deg"]
+        self.inner = np.zeros(self.n, bool)
+        self.inner[held] = True
+
+    def lacking(self, nodes: np.ndarray, most_edges: int, **columns: float) -> pd.DataFrame:
+        """Rows that ask for the adjacency of ``nodes``, or say that it would be too much."""
+        kind = WANTED if not len(self.dst) or len(self.dst) + self.deg[nodes].sum() <= most_edges else LARGE
+        return pd.DataFrame({"node_id": self.nodes[nodes], **columns, "kind": kind})
+
+
+def _run(near: pd.DataFrame, start: pd.DataFrame, alpha: float, sigma: float, most_edges: int) -> pd.DataFrame:
+    """One seed's rounds; its state, or the nodes that it lacks."""
+    eps, budget = float(start["eps"].iloc[0]), float(start["budget"].iloc[0])
+    b = Neighbourhood(near, start)
+    r, kept, spent = np.zeros(b.n), np.zeros(b.n), 0.0
+    r[b.first] = start["residual"]
+    while True:
+        some = r > 0
+        active = some & (r >= eps * b.deg)
+        if not active.any():
+            break
+        volume = b.deg[some].sum()
+        now = spent
+        if active.sum() / some.sum() > sigma and spent + volume < budget:
+            active, now = some, spent + volume
+        if (active & ~b.inner).any():
+            told = ~b.inner & (active | (some & (r >= AHEAD * eps * b.deg)))
+            return b.lacking(told, most_edges, deg=0.0, residual=0.0, reserve=0.0, eps=eps, budget=budget, spent=0.0)
+        spent = now
+        moved = np.where(active, r, 0.0)
+        kept += (1 - alpha) * moved
+        r = r - moved + np.bincount(b.dst, alpha * moved[b.src] * b.share, b.n)
+    told = (kept > 0) | (r > 0)
+    return pd.DataFrame({"node_id": b.nodes[told], "deg": b.deg[told], "residual": r[told], "reserve": kept[told], "eps": eps, "budget": budget, "spent": spent, "kind": DONE})
+
+
+def diffuse_in_balls(g: Graph, state: DataFrame, alpha: float, sigma: float, most_edges: int | None = None) -> DataFrame:
+    """The state of ``diffusion.diffuse`` after its last round, from a written state before its first."""
+    from attrgraph.operators import diffusion
+
+    run = partial(_run, alpha=alpha, sigma=sigma, most_edges=MOST_EDGES if most_edges is None else most_edges)
+    wanted = state.where((F.col("residual") > 0) & (F.col("residual") >= AHEAD * F.col("eps") * F.col("deg"))).select("seed_id", "node_id")
+    out, large = fetching(g, state, wanted, "deg double, residual double, reserve double, eps double, budget double, spent double", run)
+    if large is not None:
+        out = out.union(diffusion.run_rounds(g, materialise(state.join(large, "seed_id", "left_semi"), "state"), alpha, sigma))
+    return out.select(*diffusion.STATE)
+
+
+def heat_level_bounds(t: float, n: int) -> list[float]:
+    """psi_j, the weight that mass at level j still spreads with."""
+    return [sum(t**m * factorial(j) / factorial(m + j) for m in range(n - j + 1)) for j in range(n + 1)]
+
+
+def run_heat(near: pd.DataFrame, start: pd.DataFrame, t: float, most_edges: int, degree: Callable[[float, float], int]) -> pd.DataFrame:
+    eps, b = float(start["eps"].iloc[0]), Neighbourhood(near, start)
+    n = degree(t, eps)
+    psi = heat_level_bounds(t, n)
+    r, total = np.zeros(b.n), np.zeros(b.n)
+    r[b.first] = 1.0
+    for j in range(n + 1):
+        active = r > 0
+        if j < n:
+            bound = b.deg * (exp(t) * eps / (2 * n * psi[j]))
+            active &= r >= bound
+            if (active & ~b.inner).any():
+                return b.lacking(~b.inner & (r > 0) & (r >= AHEAD * bound), most_edges, score=0.0)
+        moved = np.where(active, r, 0.0)
+        total += moved
+        r = np.bincount(b.dst, t / (j + 1) * moved[b.src] * b.share, b.n)
+    told = total > 0
+    return pd.DataFrame({"node_id": b.nodes[told], "score": exp(-t) * total[told] / b.deg[told], "kind": DONE})
+
+
+def run_flow(near: pd.DataFrame, start: pd.DataFrame, p: float, tol: float, rounds: int, bisections: int, settle: bool, most_edges: int) -> pd.DataFrame:
+    """Potentials of the p-norm flow: see ``flow.pnorm_flow``."""
+    b, q1 = Neighbourhood(near, start), 1.0 / (p - 1.0)
+    source, x, w = np.zeros(b.n), np.zeros(b.n), b.share * b.deg[b.src]
+    source[b.first] = start["source"]
+    outer = ~b.inner[b.dst]  # an edge to a node whose own edges aren't here brings its inflow
+
+    def net(at: np.ndarray) -> np.ndarray:
+        d = at[b.src] - x[b.dst]
+        f = w * np.sign(d) * np.abs(d) ** q1
+        return np.bincount(b.src, f, b.n) - np.bincount(b.dst, np.where(outer, f, 0.0), b.n)
+
+    settled = False
+    for _ in range(rounds):
+        excess = source - net(x) - b.deg
+        if not (excess > tol * b.deg).any():
+            settled = True
+            break
+        up = excess > 0
+        if (up & ~b.inner).any():
+            return b.lacking(up & ~b.inner, most_edges, score=0.0, excess=0.0)
+        if p == 2:
+            balanced = x + excess / b.deg
+        else:
+            highest = np.zeros(b.n)
+            np.maximum.at(highest, b.src, x[b.dst])
+            lo, hi = x.copy(), np.maximum(x, highest) + (source + np.abs(excess)) ** (p - 1.0) + 1
+            for _ in range(bisections):
+                mid = (lo + hi) / 2
+                over = source - net(mid) > b.deg
+                lo, hi = np.where(over, mid, lo), np.where(over, hi, mid)
+            balanced = (lo + hi) / 2
+        x = np.where(up, x + (1.0 if p == 2 else 0.5) * (balanced - x), x)
+    if settle and not settled:
+        raise RuntimeError(f"flow not settled to {tol} after {rounds} rounds")
+    told = x > 0
+    return pd.DataFrame({"node_id": b.nodes[told], "score": x[told], "excess": (source - net(x) - b.deg)[told], "kind": DONE})
+
+
+def run_release(near: pd.DataFrame, start: pd.DataFrame, capacity: float, height: int, iterations: int, rounds: int, most_edges: int) -> pd.DataFrame:
+    """Mass and labels of a seed: see ``flow.capacity_release``."""
+    b = Neighbourhood(near, start)
+    mass, label, live = np.zeros(b.n), np.zeros(b.n, np.int64), True
+    mass[b.first] = 2 * b.deg[b.first]
+    key = b.src * np.int64(b.n) + b.dst
+    order = np.argsort(key)
+    at = np.searchsorted(key[order], b.dst * np.int64(b.n) + b.src)
+    at = np.minimum(at, max(0, len(key) - 1))
+    back = np.where(key[order][at] == b.dst * np.int64(b.n) + b.src, order[at], -1) if len(key) else at
+    for it in range(iterations):
+        flow = np.zeros(len(key))
+        for _ in range(rounds):
+            excess = np.maximum(mass - b.deg, 0.0)
+            over = (excess > 0) & live
+            if not (over & (label < height)).any() and not (over & (label > 0)).any():
+                break
+            if (over & ~b.inner).any():
+                return b.lacking((mass > 0) & ~b.inner, most_edges, mass=0.0, label=0, score=0.0)
+            room = np.where(over[b.src] & (label[b.src] > 0) & (label[b.dst] == label[b.src] - 1), capacity - flow, 0.0)
+            room = np.where(room > 1e-12, room, 0.0)
+            rooms = np.bincount(b.src, room, b.n)
+            sent = room * np.minimum(1.0, excess / np.where(rooms > 0, rooms, 1.0))[b.src]
+            mass = mass - np.bincount(b.src, sent, b.n) + np.bincount(b.dst, sent, b.n)
+            label = label + (over & (rooms == 0) & (label < height))
+            flow += sent
+            known = back >= 0
+            flow -= np.bincount(back[known], sent[known], len(key))
+        if np.maximum(mass - b.deg, 0.0).sum() > 0.5 * mass.sum():
+            live = False
+        if it < iterations - 1 and live:
+            mass, label = 2 * mass, np.zeros(b.n, np.int64)
+        if not live:
+            break
+    told = mass > 0
+    return pd.DataFrame({"node_id": b.nodes[told], "mass": mass[told], "label": label[told].astype(np.int32), "score": label[told] + np.minimum(1.0, mass[told] / b.deg[told]), "kind": DONE})
