@@ -176,7 +176,7 @@ def run_flow(near: pd.DataFrame, start: pd.DataFrame, p: float, tol: float, roun
             break
         up = excess > 0
         if (up & ~b.inner).any():
-            return b.lacking(up & ~b.inner, most_edges, score=0.0, excess=0.0)
+            return b.lacking(~b.inner & (excess > (AHEAD - 1) * b.deg), most_edges, score=0.0, excess=0.0)
         if p == 2:
             balanced = x + excess / b.deg
         else:

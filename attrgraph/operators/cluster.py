@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from attrgraph.functions import vec_dot
 from attrgraph.operators.diffusion import ALPHA, diffuse, scores, start_unit
-from attrgraph.operators.graph import Graph
+from attrgraph.operators.graph import Graph, ranked_nodes
 from attrgraph.session import materialise, written
 
 
@@ -90,13 +90,12 @@ def padded(clusters: DataFrame, size: DataFrame, nodes: DataFrame, pad: str = "i
         return clusters
     have = clusters.groupBy("seed_id").agg(F.count("*").alias("have"))
     lack = size.join(have, "seed_id", "left").select("seed_id", F.coalesce("have", F.lit(0)).alias("have"), (F.col("size") - F.coalesce("have", F.lit(0))).alias("lack")).where("lack > 0")
-    most = size.agg(F.max("size")).first()[0] or 0
     if pad == "attr" and similarity is not None:
         spare = similarity.select("seed_id", "node_id", F.col("score").alias("s"))
     else:
-        # the smallest ids, as many as the largest cluster could use beside its own
-        small = nodes.select("node_id").orderBy("node_id").limit(2 * most)
-        spare = lack.select("seed_id").join(F.broadcast(small)).withColumn("s", F.lit(0.0))
+        # what a seed lacks is among the first ``size`` nodes, which are met by their places
+        places = lack.join(size, "seed_id").select("seed_id", F.explode(F.sequence(F.lit(1), F.col("size").cast("long"))).alias("place"))
+        spare = places.join(ranked_nodes(nodes), "place").select("seed_id", "node_id", F.lit(0.0).alias("s"))
     spare = spare.join(clusters.select("seed_id", "node_id"), ["seed_id", "node_id"], "left_anti")
     order = Window.partitionBy("seed_id").orderBy(F.desc("s"), "node_id")
     more = spare.withColumn("r", F.row_number().over(order)).join(lack, "seed_id").where("r <= lack")

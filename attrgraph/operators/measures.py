@@ -6,7 +6,7 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from attrgraph.operators.graph import Graph
+from attrgraph.operators.graph import BROADCAST_BYTES, ROW_BYTES, Graph
 
 
 def truth_sizes(seeds: DataFrame, truth: DataFrame) -> DataFrame:
@@ -27,7 +27,10 @@ def hits(clusters: DataFrame, truth: DataFrame) -> DataFrame:
     both = clusters.join(mine, "seed_id").join(labels, "node_id", "left")
     found = both.groupBy("seed_id").agg(F.sum(F.coalesce(F.arrays_overlap("labels", "own"), F.lit(False)).cast("long")).alias("hits"), F.count("*").alias("size"))
     counts = labels.groupBy("labels").agg(F.count("*").alias("n"))  # one row for each set of labels
-    sizes = mine.select("seed_id", "own").join(F.broadcast(counts), F.arrays_overlap("own", "labels")).groupBy("seed_id").agg(F.sum("n").alias("truth_size"))
+    if counts.count() * ROW_BYTES <= BROADCAST_BYTES:
+        sizes = mine.select("seed_id", "own").join(F.broadcast(counts), F.arrays_overlap("own", "labels")).groupBy("seed_id").agg(F.sum("n").alias("truth_size"))
+    else:
+        sizes = truth_sizes(seeds, truth).withColumnRenamed("size", "truth_size")
     return found.join(sizes, "seed_id")
 
 
