@@ -23,6 +23,8 @@ from attrgraph.session import materialise, workers
 MOST_EDGES = 2_000_000
 #: Nodes are fetched ahead when they have this share of what makes them hot.
 AHEAD = 0.25
+#: A whole component is given at most this share of what it can hold: flow of more mass never settles.
+HOLDS = 0.9
 DONE, WANTED, LARGE = 0, 1, 2
 
 
@@ -161,6 +163,8 @@ def run_flow(near: pd.DataFrame, start: pd.DataFrame, p: float, tol: float, roun
     b, q1 = Neighbourhood(near, start), 1.0 / (p - 1.0)
     source, x, w = np.zeros(b.n), np.zeros(b.n), b.share * b.deg[b.src]
     source[b.first] = start["source"]
+    if b.inner.all() and source.sum() > HOLDS * b.deg.sum():
+        source *= HOLDS * b.deg.sum() / source.sum()
     outer = ~b.inner[b.dst]  # an edge to a node whose own edges aren't here brings its inflow
 
     def net(at: np.ndarray) -> np.ndarray:
