@@ -25,18 +25,19 @@ MOST_EDGES = 2_000_000
 AHEAD = 0.25
 #: A whole component is given at most this share of what it can hold: flow of more mass never settles.
 HOLDS = 0.9
-DONE, WANTED, LARGE = 0, 1, 2
+DONE, WANTED, LARGE, FAILED = 0, 1, 2, 3
 
 
 def _joined(column: pd.Series, kind: type) -> np.ndarray:
     return np.concatenate([np.asarray(x, kind) for x in column]) if len(column) else np.empty(0, kind)
 
 
-def fetching(g: Graph, state: DataFrame, wanted: DataFrame, schema: str, run: Callable[[pd.DataFrame, pd.DataFrame], pd.DataFrame]) -> tuple[DataFrame, DataFrame | None]:
+def fetching(g: Graph, state: DataFrame, wanted: DataFrame, schema: str, run: Callable[[pd.DataFrame, pd.DataFrame], pd.DataFrame], failure: str = "") -> tuple[DataFrame, DataFrame | None]:
     """(results, seeds whose neighbourhood is too large or None) of ``run`` for each seed of the written ``state``.
 
     ``run`` gets a seed's adjacency so far (node_id, dst, p, d) and its start rows. It returns rows of ``schema`` after seed_id, with a
-    last column kind: results, or the nodes that it lacks. Those are fetched, and the seed runs again.
+    last column kind: results, or the nodes that it lacks. Those are fetched, and the seed runs again. A row of kind FAILED is an
+    error here, with the text ``failure``.
     """
     workers(state.sparkSession)
     kinds = dict(state.dtypes)
@@ -62,6 +63,8 @@ def fetching(g: Graph, state: DataFrame, wanted: DataFrame, schema: str, run: Ca
         done = told.where(F.col("kind") == DONE).drop("kind")
         out = done if out is None else out.union(done)
         left = {r.kind for r in told.where(F.col("kind") != DONE).select("kind").distinct().collect()}
+        if FAILED in left:
+            raise RuntimeError(failure)
         if LARGE in left:
             more = told.where(F.col("kind") == LARGE).select("seed_id").distinct()
             large = more if large is None else large.union(more)
@@ -193,10 +196,8 @@ def run_flow(near: pd.DataFrame, start: pd.DataFrame, p: float, tol: float, roun
                 lo, hi = np.where(over, mid, lo), np.where(over, hi, mid)
             balanced = (lo + hi) / 2
         x = np.where(up, x + (1.0 if p == 2 else 0.5) * (balanced - x), x)
-    if settle and not settled:
-        raise RuntimeError(f"flow not settled to {tol} after {rounds} rounds")
     told = x > 0
-    return pd.DataFrame({"node_id": b.nodes[told], "score": x[told], "excess": (source - net(x) - b.deg)[told], "kind": DONE})
+    return pd.DataFrame({"node_id": b.nodes[told], "score": x[told], "excess": (source - net(x) - b.deg)[told], "kind": FAILED if settle and not settled else DONE})
 
 
 def run_release(near: pd.DataFrame, start: pd.DataFrame, capacity: float, height: int, iterations: int, rounds: int, most_edges: int) -> pd.DataFrame:

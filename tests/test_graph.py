@@ -452,3 +452,18 @@ def test_a_graph_is_packed_once(spark, small):
     g, *_ = small
     g = g.kept()
     assert g.kept() is g and g.packed is g.packed and g.degrees is g.degrees
+
+
+def test_local_baselines_equal_their_rounds(spark, small):
+    g, *_ = small
+    seeds = seeds_of(spark, 3, 17)
+    runs = {
+        "heat": lambda e: heat.heat_kernel(g, seeds, 3.0, 1e-3, engine=e),
+        # one seed: the engine of rounds goes on with all seeds until the last one settles
+        "flow": lambda e: flow.pnorm_flow(g, seeds_of(spark, 17), 2.0, mass_per_degree=12.0, tol=1e-1, engine=e),
+        "release": lambda e: flow.capacity_release(g, seeds, iterations=2, rounds=3, engine=e),
+    }
+    for name, run in runs.items():
+        one, two = ({(r.seed_id, r.node_id): r.score for r in run(e).collect()} for e in ("local", "rounds"))
+        assert len(one) > 5 and one.keys() == two.keys(), name
+        assert all(one[k] == pytest.approx(two[k], abs=1e-9) for k in one), name
