@@ -21,6 +21,8 @@ from attrgraph.operators.graph import BROADCAST_BYTES, ROW_BYTES, Graph
 from attrgraph.session import materialise, workers
 
 MOST_EDGES = 2_000_000
+#: A graph of at most so many directed edges, some 10 MB, may be sent to all workers as a whole.
+WHOLE_EDGES = 200_000
 #: Nodes are fetched ahead when they have this share of what makes them hot.
 AHEAD = 0.25
 #: A whole component is given at most this share of what it can hold: flow of more mass never settles.
@@ -32,12 +34,12 @@ def _joined(column: pd.Series, kind: type) -> np.ndarray:
     return np.concatenate([np.asarray(x, kind) for x in column]) if len(column) else np.empty(0, kind)
 
 
-def fetching(g: Graph, state: DataFrame, wanted: DataFrame, schema: str, run: Callable[[pd.DataFrame, pd.DataFrame], pd.DataFrame], failure: str = "") -> tuple[DataFrame, DataFrame | None]:
+def fetching(g: Graph, state: DataFrame, wanted: DataFrame, schema: str, run: Callable[[pd.DataFrame, pd.DataFrame], pd.DataFrame], failure: str = "", whole: bool = False) -> tuple[DataFrame, DataFrame | None]:
     """(results, seeds whose neighbourhood is too large or None) of ``run`` for each seed of the written ``state``.
 
     ``run`` gets a seed's adjacency so far (node_id, dst, p, d) and its start rows. It returns rows of ``schema`` after seed_id, with a
     last column kind: results, or the nodes that it lacks. Those are fetched, and the seed runs again. A row of kind FAILED is an
-    error here, with the text ``failure``.
+    error here, with the text ``failure``. With ``whole``, a graph of at most ``WHOLE_EDGES`` edges is broadcast, and nothing fetched.
     """
     workers(state.sparkSession)
     kinds = dict(state.dtypes)
@@ -51,14 +53,21 @@ def fetching(g: Graph, state: DataFrame, wanted: DataFrame, schema: str, run: Ca
         out.insert(0, "seed_id", key[0])
         return out
 
-    open_seeds, near, out, large = state, None, None, None
+    if whole and g.size <= WHOLE_EDGES:
+        rows = g.packed.rows.select("node_id", F.col("nb.dst").alias("dst"), F.col("nb.p").alias("p"), F.col("nb.deg").alias("d"))
+        sent = state.sparkSession.sparkContext.broadcast(rows.toPandas())
+        told = state.groupBy("seed_id").applyInPandas(lambda key, start: gathered(key, sent.value, start), schema)
+        return materialise(told, "told").drop("kind"), None
+    open_seeds, fetched, out, large = state, None, None, None
+    wanted = materialise(wanted, "wanted")
     while True:
-        wanted = materialise(wanted, "wanted")
         nodes = materialise(wanted.select("node_id").distinct(), "nodes")
         rows = g.packed.of(nodes).select("node_id", F.col("nb.dst").alias("dst"), F.col("nb.p").alias("p"), F.col("nb.deg").alias("d"))
         small = wanted.count() * ROW_BYTES <= BROADCAST_BYTES
-        fetched = materialise(rows.join(F.broadcast(wanted) if small else wanted, "node_id").select("seed_id", "node_id", "dst", "p", "d"), "near")
-        near = fetched if near is None else near.union(fetched)
+        new = materialise(rows.join(F.broadcast(wanted) if small else wanted, "node_id").select("seed_id", "node_id", "dst", "p", "d"), "near")
+        near = fetched = new if fetched is None else fetched.union(new)
+        if open_seeds is not state:
+            near = near.join(going, "seed_id", "left_semi")
         told = materialise(near.groupBy("seed_id").cogroup(open_seeds.groupBy("seed_id")).applyInPandas(gathered, schema), "told")
         done = told.where(F.col("kind") == DONE).drop("kind")
         out = done if out is None else out.union(done)
@@ -72,7 +81,7 @@ def fetching(g: Graph, state: DataFrame, wanted: DataFrame, schema: str, run: Ca
             return out, large
         wanted = told.where(F.col("kind") == WANTED).select("seed_id", "node_id")
         going = wanted.select("seed_id").distinct()
-        open_seeds, near = state.join(going, "seed_id", "left_semi"), near.join(going, "seed_id", "left_semi")
+        open_seeds = state.join(going, "seed_id", "left_semi")
 
 
 class Neighbourhood:
@@ -130,7 +139,7 @@ def diffuse_in_balls(g: Graph, state: DataFrame, alpha: float, sigma: float, mos
 
     run = partial(_run, alpha=alpha, sigma=sigma, most_edges=MOST_EDGES if most_edges is None else most_edges)
     wanted = state.where((F.col("residual") > 0) & (F.col("residual") >= AHEAD * F.col("eps") * F.col("deg"))).select("seed_id", "node_id")
-    out, large = fetching(g, state, wanted, "deg double, residual double, reserve double, eps double, budget double, spent double", run)
+    out, large = fetching(g, state, wanted, "deg double, residual double, reserve double, eps double, budget double, spent double", run, whole=g.whole)
     if large is not None:
         out = out.union(diffusion.run_rounds(g, materialise(state.join(large, "seed_id", "left_semi"), "state"), alpha, sigma))
     return out.select(*diffusion.STATE)

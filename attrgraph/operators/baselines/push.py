@@ -28,7 +28,7 @@ def attr_weighted_graph(g: Graph, attrs: DataFrame, bandwidth: float = 1.0) -> G
     weighted = rows.select(F.col("src").alias("a"), F.col("dst").alias("b"), F.exp(-gap / (2 * bandwidth * bandwidth)).alias("w"))
     both = weighted.select(F.explode(F.array(F.struct(F.col("a").alias("src"), F.col("b").alias("dst"), "w"), F.struct(F.col("b").alias("src"), F.col("a").alias("dst"), "w"))).alias("e")).select("e.*")
     degree = both.groupBy("src").agg(F.sum("w").alias("src_deg"))
-    return Graph(both.join(degree, "src").join(degree.select(F.col("src").alias("dst"), F.col("src_deg").alias("dst_deg")), "dst").select(*EDGE_COLUMNS))
+    return Graph(both.join(degree, "src").join(degree.select(F.col("src").alias("dst"), F.col("src_deg").alias("dst_deg")), "dst").select(*EDGE_COLUMNS), whole=g.whole)
 
 
 def attr_weighted_pagerank(g: Graph, attrs: DataFrame, seeds: DataFrame, bandwidth: float = 1.0, **options) -> DataFrame:

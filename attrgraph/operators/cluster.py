@@ -10,14 +10,21 @@ from attrgraph.operators.diffusion import ALPHA, diffuse, scores, start_unit
 from attrgraph.operators.graph import Graph, ranked_nodes
 from attrgraph.session import materialise, written
 
+#: Factor rows longer than this are summed place by place.
+WIDE = 64
+
 
 def seed_profile(pi: DataFrame, factors: DataFrame) -> DataFrame:
     """(seed_id, psi): factor rows of the nodes in (seed_id, node_id, score), summed by score.
 
-    Sums are partial in each task before they move: k numbers a seed and task.
+    Sums are partial in each task before they move: k numbers a seed and task. Wide rows are summed by place, since a plan with
+    a sum for each of a thousand places takes longer to compile than to run.
     """
     width = len(factors.first().z) if not factors.isEmpty() else 0
     joined = pi.join(factors, "node_id")
+    if width > WIDE:
+        sums = joined.select("seed_id", "score", F.posexplode("z").alias("place", "x")).groupBy("seed_id", "place").agg(F.sum(F.col("score") * F.col("x")).alias("s"))
+        return sums.groupBy("seed_id").agg(F.transform(F.sort_array(F.collect_list(F.struct("place", "s"))), lambda r: r["s"]).alias("psi"))
     return joined.groupBy("seed_id").agg(F.array(*[F.sum(F.col("score") * F.col("z")[i]) for i in range(width)]).cast("array<double>").alias("psi"))
 
 

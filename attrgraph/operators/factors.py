@@ -68,19 +68,35 @@ def _times(attrs: DataFrame, table: DataFrame, key: str, other: str) -> DataFram
     return joined.groupBy(other).agg(F.array(*[F.sum(F.col("value") * F.col("v")[i]) for i in range(width)]).alias("v"))
 
 
+def _gram_parts(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    total = None
+    for pdf in frames:
+        if len(pdf):
+            v = np.stack(pdf["v"].to_numpy())
+            total = v.T @ v if total is None else total + v.T @ v
+    if total is not None:
+        yield pd.DataFrame({"place": np.arange(total.size), "s": total.ravel()})
+
+
 def _small_gram(table: DataFrame, width: int) -> np.ndarray:
-    """V^T V of (.., v): width^2 sums."""
-    sums = table.agg(*[F.sum(F.col("v")[i] * F.col("v")[j]).alias(f"s{i}_{j}") for i in range(width) for j in range(i, width)]).first()
-    out = np.zeros((width, width))
-    for i in range(width):
-        for j in range(i, width):
-            out[i, j] = out[j, i] = sums[f"s{i}_{j}"] or 0.0
-    return out
+    """V^T V of (.., v): width^2 sums, each partition's added up in NumPy and those of all partitions by place."""
+    workers(table.sparkSession)
+    parts = table.select("v").mapInPandas(_gram_parts, "place long, s double")
+    out = np.zeros(width * width)
+    for r in parts.groupBy("place").agg(F.sum("s").alias("s")).collect():
+        out[r.place] = r.s
+    return out.reshape(width, width)
+
+
+def _turned(frames: Iterator[pd.DataFrame], key: str, m: np.ndarray) -> Iterator[pd.DataFrame]:
+    for pdf in frames:
+        if len(pdf):
+            yield pd.DataFrame({key: pdf[key], "v": list(np.stack(pdf["v"].to_numpy()) @ m)})
 
 
 def _rotated(table: DataFrame, key: str, m: np.ndarray) -> DataFrame:
-    columns = [F.aggregate(F.zip_with("v", F.lit([float(x) for x in m[:, j]]), lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x) for j in range(m.shape[1])]
-    return table.select(key, F.array(*columns).alias("v"))
+    workers(table.sparkSession)
+    return table.select(key, "v").mapInPandas(partial(_turned, key=key, m=m), f"{key} {dict(table.dtypes)[key]}, v array<double>")
 
 
 def _randomized(attrs: DataFrame, k: int, power: int, seed: int, extra: int) -> tuple[DataFrame, np.ndarray]:
@@ -96,7 +112,7 @@ def _randomized(attrs: DataFrame, k: int, power: int, seed: int, extra: int) ->
     image = materialise(_times(attrs, v, "attr", "node_id"), "image")
     w, q = np.linalg.eigh(_small_gram(image, width))
     order = np.argsort(w)[::-1][:k]
-    basis = _rotated(v, "attr", q[:, order])
+    basis = materialise(_rotated(v, "attr", q[:, order]), "basis")
     top = basis.agg(*[F.max_by(F.col("v")[i], F.struct(F.abs(F.col("v")[i]), "attr")).alias(f"t{i}") for i in range(len(order))]).first()
     signs = [-1.0 if top[f"t{i}"] < 0 else 1.0 for i in range(len(order))]
     return basis.select("attr", F.zip_with("v", F.lit(signs), lambda x, y: x * y).alias("v")), np.sqrt(np.maximum(w[order], 0))
@@ -150,11 +166,11 @@ def normalize(rows: DataFrame, nonneg: str = "clip") -> DataFrame:
     Where that product isn't positive (signed attributes, or a random-feature estimate), ``clip`` gives a zero row, ``drop``
     leaves the row out and ``error`` raises.
     """
-    width = len(rows.first().y) if not rows.isEmpty() else 0
-    total = rows.agg(F.array(*[F.coalesce(F.sum(F.col("y")[i]), F.lit(0.0)) for i in range(width)]).alias("t")) if width else None
-    if total is None:
+    # a row a place of the vector, as many as there are factors
+    sums = rows.select(F.posexplode("y").alias("place", "x")).groupBy("place").agg(F.sum("x").alias("s")).collect()
+    if not sums:
         return rows.select("node_id", F.col("y").alias("z"))
-    both = rows.withColumn("p", vec_dot("y", F.lit([float(x) for x in total.first().t])))
+    both = rows.withColumn("p", vec_dot("y", F.lit([float(r.s) for r in sorted(sums)])))
     if nonneg == "drop":
         both = both.where("p > 0")
     bad = F.raise_error(F.lit("a row sum isn't positive")).cast("double") if nonneg == "error" else F.lit(0.0)

@@ -47,10 +47,12 @@ class Graph:
     """edges(src, dst, w, src_deg, dst_deg), both directions of each undirected edge.
 
     A ``kept`` graph is written: its edges at once, degrees and packed adjacency when first asked for. All callers share them.
+    With ``whole``, diffusions and heat kernels get a small graph (``ball.WHOLE_EDGES``) at once, where many runs on it follow.
     """
 
     edges: DataFrame
     written: bool = False
+    whole: bool = False
     _parts: dict = field(default_factory=dict, repr=False, compare=False)
 
     @property
@@ -85,7 +87,7 @@ class Graph:
 
     def kept(self, label: str = "graph") -> Graph:
         """The same graph with its edges written to the shared folder once; a kept one is itself."""
-        return self if self.written else Graph(materialise(self.edges, label), True)
+        return self if self.written else Graph(materialise(self.edges, label), True, self.whole)
 
 
 def from_edges(pairs: DataFrame, src: str = "a", dst: str = "b", weight: str | None = None, min_degree: int = 1) -> Graph:

@@ -467,3 +467,25 @@ def test_local_baselines_equal_their_rounds(spark, small):
         one, two = ({(r.seed_id, r.node_id): r.score for r in run(e).collect()} for e in ("local", "rounds"))
         assert len(one) > 5 and one.keys() == two.keys(), name
         assert all(one[k] == pytest.approx(two[k], abs=1e-9) for k in one), name
+
+
+def test_a_graph_sent_whole_gives_the_fetched_result(spark, small):
+    from dataclasses import replace
+
+    g, *_ = small
+    g = g.kept()
+    seeds = seeds_of(spark, 0, 7, 999)
+    for run in (lambda g: diffusion.diffuse(g, diffusion.start_unit(seeds), eps=1e-3, engine="local").selectExpr("seed_id", "node_id", "reserve as score"), lambda g: heat.heat_kernel(g, seeds, 3.0, 1e-3, engine="local")):
+        one, two = ({(r.seed_id, r.node_id): r.score for r in run(x).collect()} for x in (g, replace(g, whole=True)))
+        assert len(one) > 5 and one.keys() == two.keys()
+        assert all(one[k] == pytest.approx(two[k], abs=1e-12) for k in one)
+
+
+def test_wide_profiles_are_summed_by_place(spark, small, monkeypatch):
+    g, attrs, *_ = small
+    z = materialise(factors.build(attrs, k=None), "z")
+    pi = spark.createDataFrame([(s, n, 0.5 + s + n) for s in (1, 2) for n in range(s, 30)], "seed_id long, node_id long, score double")
+    narrow = {r.seed_id: r.psi for r in cluster.seed_profile(pi, z).collect()}
+    monkeypatch.setattr(cluster, "WIDE", 0)
+    for r in cluster.seed_profile(pi, z).collect():
+        assert list(r.psi) == pytest.approx(list(narrow[r.seed_id]), rel=1e-12)
