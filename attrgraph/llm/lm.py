@@ -63,6 +63,21 @@ class WordBins(dict):
         return np.fromiter(map(self.__getitem__, words), np.int64, len(words))
 
 
+class WordKinds(dict):
+    """Last two bytes of a word -> its class as in ``WordBins``, for passes that need no number: a rare word costs no hash of its own."""
+
+    def __init__(self, frequent: list[bytes]):
+        self.frequent = {w: i for i, w in enumerate(frequent)}
+
+    def __missing__(self, end: bytes) -> int:
+        value = self[end] = FREQUENT + (xxhash.xxh64_intdigest(end, _SEED) >> 1) % SUFFIX_CLASSES
+        return value
+
+    def of(self, text: bytes | None) -> np.ndarray:
+        own = self.frequent
+        return np.array([own[w] if w in own else self[w[-2:]] for w in (text or b"").lower().split()], np.int32)
+
+
 def contexts(sizes: np.ndarray, kinds: np.ndarray) -> np.ndarray:
     """Classes at the offsets around each word, CLASSES beyond a document's ends."""
     apart = np.full(len(kinds) + SIDE * (len(sizes) + 1), CLASSES, np.int32)
@@ -200,15 +215,15 @@ def corpus_shares(docs: DataFrame, frequent: list[bytes]) -> Shares:
 
 def _learn(batches: Iterator[pa.RecordBatch], frequent: list[bytes], net: WindowNetwork, epochs: int, batch: int) -> Iterator[pa.RecordBatch]:
     """A pass over whole texts: (words learnt from, weights and sums of squares as one float32 array)."""
-    bins, held, width, words = WordBins(frequent), [], 0, 0
+    classes, held, width, words = WordKinds(frequent), [], 0, 0
 
     def fit() -> None:
-        kinds = (np.concatenate(held) >> 56).astype(np.int32)
+        kinds = np.concatenate(held)
         net.fit(contexts(np.array([len(x) for x in held], np.int64), kinds), kinds, epochs, batch)
 
     for some in batches:
         for t in some.column(0).cast(pa.binary()):
-            held.append(bins.of(t.as_py()))
+            held.append(classes.of(t.as_py()))
             width += len(held[-1])
             if epochs == 1 and width > _WIDTH:
                 fit()

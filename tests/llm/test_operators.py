@@ -687,3 +687,12 @@ def test_secrets_plan_has_no_python(spark):
 
 def test_public_tokenizer_files_stay_outside_the_repository():
     assert "repo" not in public_tokenizers.path("piece_bpe_32k.model")
+
+
+def test_word_kinds_equal_the_classes_of_word_bins():
+    from attrgraph.llm import lm
+
+    frequent, text = [b"the", b"of"], "The of a \xe9 x\u00a0y zebra OF cobra \x1c 12".encode()
+    kinds, bins = lm.WordKinds(frequent).of(text), lm.WordBins(frequent).of(text)
+    assert kinds.tolist() == (bins >> 56).tolist() and kinds.tolist()[:2] == [0, 1]
+    assert len(lm.WordKinds(frequent).of(None)) == len(lm.WordKinds(frequent).of(b" ")) == 0
