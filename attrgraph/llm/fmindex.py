@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from attrgraph.session import materialise, workers
+from attrgraph.session import kept, lean, materialise, workers
 
 WINDOW = 10
 SAMPLE_EVERY = 8
@@ -219,7 +219,7 @@ def shards(texts: list[bytes | None], most: int | None = None) -> Iterator[Shard
         yield Shard(held)
 
 
-_WINDOWS: dict[tuple, Windows] = {}
+_WINDOWS: dict[tuple, Windows] = kept("fmindex")
 
 
 def _windows(key: tuple, items: list[tuple[str, str | None]], width: int) -> Windows:
@@ -290,7 +290,7 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, width: int = WINDO
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.sha2(F.col("text").cast("string"), 256).alias("text_hash"), F.col("text").cast("string").alias("text"))
     found = None
     for block in _blocks(benchmark, width, block_chars):
-        part = rows.mapInArrow(partial(_find, block=block), _FOUND)
+        part = rows.mapInArrow(lean(partial(_find, block=block), "fmindex"), _FOUND)
         if block["blocks"] > 1:
             part = materialise(part, "found")
         found = part if found is None else found.union(part)
@@ -352,17 +352,17 @@ def remove_contamination(docs: DataFrame, benchmark: DataFrame, width: int = WIN
     blocks = _blocks(benchmark, width, block_chars)
     block = next(blocks)
     if block["blocks"] == 1:
-        return docs.mapInArrow(partial(_remove, block=block), docs.schema)
+        return docs.mapInArrow(lean(partial(_remove, block=block), "fmindex"), docs.schema)
     digest, spans = f"digest_{uuid.uuid4().hex}", f"hits_{uuid.uuid4().hex}"
     left = docs
     while True:
         texts = left.where("text is not null").select(F.lit(0).cast("long").alias("doc_id"), F.sha2("text", 256).alias("text_hash"), "text").dropDuplicates(["text_hash"])
         found = None
         for block in _blocks(benchmark, width, block_chars):
-            part = materialise(texts.mapInArrow(partial(_find, block=block), _FOUND).where("size(hits) > 0").select("text_hash", "hits"), "found")
+            part = materialise(texts.mapInArrow(lean(partial(_find, block=block), "fmindex"), _FOUND).where("size(hits) > 0").select("text_hash", "hits"), "found")
             found = part if found is None else found.union(part)
         if found.isEmpty():
             return left
         merged = found.groupBy(F.col("text_hash").alias(digest)).agg(F.flatten(F.collect_list("hits")).alias(spans))
         told = left.withColumn(digest, F.sha2("text", 256)).join(merged, digest, "left").select(*[F.col(f"`{c}`") for c in left.columns], spans)
-        left = materialise(told.mapInArrow(partial(_cut, column=left.columns.index("text")), left.schema), "cut")
+        left = materialise(told.mapInArrow(lean(partial(_cut, column=left.columns.index("text")), "fmindex"), left.schema), "cut")

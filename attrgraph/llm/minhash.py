@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from attrgraph.session import discard, materialise, workers
+from attrgraph.session import discard, lean, materialise, workers
 
 SHINGLE_WORDS = 5
 THRESHOLD_PERCENT = 75
@@ -190,7 +190,7 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
     """
     spark = workers(docs.sparkSession)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    sketch = materialise(docs.mapInArrow(_sketch, "doc_id long, n_shingles long, sum_hash long, xor_hash long, keys array<long>"), "sketch")
+    sketch = materialise(docs.mapInArrow(lean(_sketch, "minhash"), "doc_id long, n_shingles long, sum_hash long, xor_hash long, keys array<long>"), "sketch")
     signature = ["n_shingles", "sum_hash", "xor_hash"]
     real = sketch.where("n_shingles > 0 and doc_id is not null")
     classes = materialise(real.groupBy(*signature).agg(F.min("doc_id").alias("class_id"), F.min_by("keys", "doc_id").alias("keys")), "classes")
@@ -210,7 +210,7 @@ def near_duplicates(docs: DataFrame, percent: int = THRESHOLD_PERCENT) -> DataFr
     buckets = materialise(rows.join(pivots, "key"), "buckets")
     wanted = buckets.select("id").distinct()
     sets = docs.select("doc_id", "text").join(wanted.withColumnRenamed("id", "doc_id"), "doc_id", "left_semi")
-    sets = materialise(sets.mapInArrow(_sets, "id long, shingles array<long>").withColumn("sid", F.monotonically_increasing_id()), "sets")
+    sets = materialise(sets.mapInArrow(lean(_sets, "minhash"), "id long, shingles array<long>").withColumn("sid", F.monotonically_increasing_id()), "sets")
 
     similar = 100 * F.col("common") >= percent * F.col("union")
     star = materialise(buckets.where("id != pivot").select(F.col("pivot").alias("a"), F.col("id").alias("b")).distinct(), "star")

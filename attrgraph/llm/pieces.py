@@ -27,7 +27,7 @@ import sentencepiece
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from attrgraph.session import workers
+from attrgraph.session import kept, lean, workers
 
 SPACE = "▁"
 MEMO_UNITS = 250_000
@@ -193,7 +193,7 @@ class PieceCodec:
         return text[1:] if first is not None and self.text[first].startswith(SPACE) else text
 
 
-_CODECS: dict[str, PieceCodec] = {}
+_CODECS: dict[str, PieceCodec] = kept("pieces")
 
 
 def codec(path: str) -> PieceCodec:
@@ -235,4 +235,4 @@ def encode_and_decode(docs: DataFrame, model_path: str, with_ids: bool = False)
     workers(docs.sparkSession)
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>, decoded string" * with_ids
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(partial(_round_trip, path=model_path, with_ids=with_ids), schema)
+    return rows.mapInArrow(lean(partial(_round_trip, path=model_path, with_ids=with_ids), "pieces"), schema)

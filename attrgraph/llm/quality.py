@@ -17,7 +17,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from attrgraph.session import workers
+from attrgraph.session import lean, workers
 
 BINS = 1 << 15
 SAMPLE_PER_CLASS = 2500
@@ -161,7 +161,7 @@ def learn(docs: DataFrame, labels: DataFrame, per_class: int = SAMPLE_PER_CLASS,
     chosen = usable.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < share).distinct().collect()
     ids = docs.sparkSession.createDataFrame(sorted({(r.doc_id, r.quality) for r in chosen}), "doc_id long, quality int")
     rows = docs.where("doc_id is not null and text is not null").join(F.broadcast(ids), "doc_id").select("doc_id", "quality", "text")
-    packed = rows.mapInArrow(_collect, "doc_id long, quality int, bits binary").collect()
+    packed = rows.mapInArrow(lean(_collect, "quality"), "doc_id long, quality int, bits binary").collect()
     unique = sorted({(r.doc_id, r.quality, bytes(r.bits)) for r in packed})
     features, y = [], []
     for q in (0, 1):
@@ -183,7 +183,7 @@ def score_quality(docs: DataFrame, labels: DataFrame, folds: int = 3, per_class:
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     model = learn(docs, labels, per_class, folds)
     rows = docs.select("doc_id", F.coalesce(_fold(folds) == 1, F.lit(False)).alias("held_out"), "text")
-    return rows.mapInArrow(partial(_score, model=model), "doc_id long, held_out boolean, score double, predicted int")
+    return rows.mapInArrow(lean(partial(_score, model=model), "quality"), "doc_id long, held_out boolean, score double, predicted int")
 
 
 def _keep(batches: Iterator[pa.RecordBatch], model: tuple, at: int) -> Iterator[pa.RecordBatch]:
@@ -203,4 +203,4 @@ def keep_good(docs: DataFrame, labels: DataFrame, folds: int = 3, per_class: int
     """
     workers(docs.sparkSession)
     model = learn(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), labels, per_class, folds)
-    return docs.mapInArrow(partial(_keep, model=model, at=docs.columns.index("text")), docs.schema)
+    return docs.mapInArrow(lean(partial(_keep, model=model, at=docs.columns.index("text")), "quality"), docs.schema)

@@ -62,3 +62,11 @@ def test_pipeline_on_odd_rows(spark):
             out = stage(spark, out, DATA)
         ids = [r.doc_id for r in out.orderBy(F.col("doc_id")).collect()]
         assert ids == ([None, 1, 2, 3] if frame is docs else [])
+
+
+def test_a_stage_drops_what_another_kept_in_the_worker():
+    from attrgraph.session import kept, lean
+
+    kept("pieces")["model"], kept("quality")["memo"] = 1, 2
+    assert list(lean(lambda batches: (b + 1 for b in batches), "quality")(iter([1, 2]))) == [2, 3]
+    assert not kept("pieces") and kept("quality").pop("memo") == 2
